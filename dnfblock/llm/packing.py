@@ -17,8 +17,11 @@ empty result; further columns are not read.
 
 from __future__ import annotations
 
+import json
 import os
+import re
 import zlib
+from array import array
 from bisect import bisect_left, insort
 from collections.abc import Iterator
 
@@ -32,39 +35,75 @@ from dnfblock.storage import materialize
 
 CAPACITY = 2048
 END_ID = 0
-_encoders: dict[str, tuple] = {}
-_CACHE = 400_000
+_CACHE_WORDS = 600_000
 _BLANKS = " \t\n\x0b\f\r"
-_TO_SPACE = str.maketrans(dict.fromkeys(_BLANKS, " "))
+#: Words of printable ASCII and Latin letters: these have one normal form and lower-case by character.
+_PLAIN = re.compile("[!-~\u00a1-\u024f]+").fullmatch
+_SPECIAL = "<|"
+_words: dict[str, "_Words"] = {}
 
 
-def encode_ids(name: str, text: str) -> bytes:
-    """Token ids of ``text`` as little-endian 32-bit words, without added special tokens."""
-    if name not in _encoders:
+def _byte_letters() -> dict[int, str]:
+    """The printable stand-in of every byte in byte-level vocabularies: itself, or from 256 upwards."""
+    own = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in own]
+    return {b: chr(b) for b in own} | {b: chr(256 + i) for i, b in enumerate(rest)}
+
+
+class _Words(dict):
+    """Ids, as little-endian 32-bit words, of what stands between blanks; bounded, filled on demand.
+
+    Plain words are split by the tokenizer's own pattern and each part goes to its model once; all
+    other words go through the whole library.
+    """
+
+    def __init__(self, name: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         import public_tokenizers
+        import regex
         from tokenizers import Tokenizer
 
-        _encoders[name] = (Tokenizer.from_file(public_tokenizers.path(name)), {"": b""})
-    tokenizer, cache = _encoders[name]
-    words = text.translate(_TO_SPACE).split(" ")
-    try:
-        return b"".join([cache[w] for w in words])
-    except KeyError:
-        pass
-    new = [w for w in set(words) if w not in cache]
-    if len(cache) + len(new) > _CACHE:
-        cache.clear()
-        cache[""] = b""
-        new = list(set(words) - {""})
-    ids = {}
-    for at in range(0, len(new), 4096):
-        part = new[at : at + 4096]
-        for word, enc in zip(part, tokenizer.encode_batch_fast(part, add_special_tokens=False)):
-            ids[word] = np.array(enc.ids, "<u4").tobytes()
-    out = b"".join([ids[w] if w in ids else cache[w] for w in words])
-    cache.update((w, x) for w, x in ids.items() if len(w) <= 64)
-    return out
+        path = public_tokenizers.path(name)
+        self.library = Tokenizer.from_file(path)
+        with open(path, encoding="utf-8") as f:
+            steps = json.load(f)
+        split = steps["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]
+        kinds = [x["type"] for x in steps["normalizer"]["normalizers"]]
+        if kinds != ["NFC", "Replace", "Lowercase"]:
+            raise ValueError(f"{name} has another normalizer: {kinds}")
+        self.parts = regex.compile(split).findall
+        self.letters = _byte_letters()
+
+    def part(self, word: str) -> bytes:
+        shown = word if word.isascii() else "".join(map(self.letters.__getitem__, word.encode()))
+        return array("I", [t.id for t in self.library.model.tokenize(shown)]).tobytes()
+
+    def __missing__(self, word: str) -> bytes:
+        if len(self) >= _CACHE_WORDS:
+            self.clear()
+        if not word:
+            out = b""
+        elif _PLAIN(word) and _SPECIAL not in word:
+            parts = self.parts(word.lower())
+            if parts == [word]:
+                out = self.part(word)
+            else:
+                out = b"".join([self[p] if p != word else self.part(p) for p in parts])
+        else:
+            out = array("I", self.library.encode(word, add_special_tokens=False).ids).tobytes()
+        if len(word) <= 64:
+            self[word] = out
+        return out
+
+
+def encode_ids(name: str, text: str) -> bytes:
+    """Token ids of ``text`` as little-endian 32-bit words, without added special tokens."""
+    if name not in _words:
+        _words[name] = _Words(name)
+    for blank in _BLANKS[1:]:
+        if blank in text:
+            text = text.replace(blank, " ")
+    return b"".join(map(_words[name].__getitem__, text.split(" ")))
 
 
 def pieces(
