@@ -15,7 +15,7 @@ from functools import reduce
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-from dnfblock.functions.indexing import REGISTRY
+from dnfblock.functions.indexing import REGISTRY, let
 
 SEPARATOR = "\x1f"
 
@@ -94,7 +94,7 @@ class Scheme:
         sets = [a.keys(side, column) for a in self.terms[i]]
 
         def pair(xs: Column, ys: Column) -> Column:
-            return F.flatten(F.transform(xs, lambda x: F.transform(ys, lambda y: F.concat(x, F.lit(SEPARATOR), y))))
+            return let(ys, lambda known: F.flatten(F.transform(xs, lambda x: F.transform(known, lambda y: F.concat(x, F.lit(SEPARATOR), y)))))
 
         return reduce(pair, sets)
 
