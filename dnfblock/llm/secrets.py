@@ -59,32 +59,40 @@ def _matches(text: Column, kind: int, pattern: str, ok) -> Column:
     ).cast("array<struct<kind:int,nth:int,gap:int,n:int,ok:boolean>>")
 
 
+def bind(value: Column, body) -> Column:
+    """``body`` of a value that is computed once; inside lambdas Spark would compute it at every use."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
 def lowest_sum(word: Column) -> Column:
     """The lowest sum of count * log2(count) over windows of ``word``, updated step by step."""
     term = F.array(*(F.lit(c * math.log2(c) if c else 0.0) for c in range(WINDOW + 1)))
-    at = lambda counts, j: F.element_at(counts, j)
     g = lambda c: F.element_at(term, c + 1)
-    letters = F.split(word, "")
-    known = F.array_distinct(letters)
-    codes = F.transform(letters, lambda c: F.array_position(known, c).cast("int"))
-    first = F.transform(
-        F.sequence(F.lit(1), F.size(known)), lambda j: F.size(F.filter(F.slice(codes, 1, WINDOW), lambda x: x == j))
-    )
-    whole = F.aggregate(first, F.lit(0.0), lambda a, c: a + g(c))
-    start = F.struct(first.alias("counts"), whole.alias("now"), whole.alias("low"))
-    steps = F.when(F.size(codes) > WINDOW, F.sequence(F.lit(WINDOW + 1), F.size(codes))).otherwise(F.array().cast("array<int>"))
-
-    def step(state: Column, i: Column) -> Column:
-        gone, new = F.element_at(codes, i - WINDOW), F.element_at(codes, i)
-        less, more = at(state["counts"], gone), at(state["counts"], new)
-        moved = state["now"] - g(less) + g(less - 1) - g(more) + g(more + 1)
-        now = F.when(gone == new, state["now"]).otherwise(moved)
-        counts = F.transform(
-            state["counts"], lambda c, j: c - (j + 1 == gone).cast("int") + (j + 1 == new).cast("int")
-        )
-        return F.struct(counts.alias("counts"), now.alias("now"), F.least(state["low"], now).alias("low"))
-
-    return F.aggregate(steps, start, step, lambda s: s["low"])
+
+    def slide(codes: Column, first: Column) -> Column:
+        whole = F.aggregate(first, F.lit(0.0), lambda a, c: a + g(c))
+        steps = F.when(F.size(codes) > WINDOW, F.sequence(F.lit(WINDOW + 1), F.size(codes))).otherwise(F.array().cast("array<int>"))
+
+        def step(state: Column, i: Column) -> Column:
+            gone, new = F.element_at(codes, i - WINDOW), F.element_at(codes, i)
+            less, more = F.element_at(state["counts"], gone), F.element_at(state["counts"], new)
+            moved = state["now"] - g(less) + g(less - 1) - g(more) + g(more + 1)
+            now = F.when(gone == new, state["now"]).otherwise(moved)
+            counts = F.transform(state["counts"], lambda c, j: c - (j + 1 == gone).cast("int") + (j + 1 == new).cast("int"))
+            return F.struct(counts.alias("counts"), now.alias("now"), F.least(state["low"], now).alias("low"))
+
+        start = F.struct(first.alias("counts"), whole.alias("now"), whole.alias("low"))
+        return F.aggregate(steps, start, step, lambda s: s["low"])
+
+    def counted(known: Column, codes: Column) -> Column:
+        first = F.transform(F.sequence(F.lit(1), F.size(known)), lambda j: F.size(F.filter(F.slice(codes, 1, WINDOW), lambda x: x == j)))
+        return bind(first, lambda f: slide(codes, f))
+
+    def coded(letters: Column, known: Column) -> Column:
+        codes = F.transform(letters, lambda c: F.array_position(known, c).cast("int"))
+        return bind(codes, lambda k: counted(known, k))
+
+    return bind(F.split(word, ""), lambda letters: bind(F.array_distinct(letters), lambda known: coded(letters, known)))
 
 
 def entropy_hit(word: Column) -> Column:
