@@ -83,16 +83,15 @@ def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     """``docs`` with one row of each group of copies, all columns as they were."""
     kept = group_copies(docs, id_col, text_col).where("kept").select("doc_id", "digest", "n_points")
     text = docs[text_col]
-    tagged = docs.withColumns(
-        {
-            "__digest": F.unhex(F.md5(normal_form(text))),
-            "__points": F.length(F.coalesce(text, F.lit(""))),
-        }
+    tagged = docs.select(
+        F.struct(*(docs[f"`{c}`"] for c in docs.columns)).alias("row"),  # no column can clash inside
+        docs[id_col].alias("id"),
+        text.alias("text"),
+        F.unhex(F.md5(normal_form(text))).alias("own_digest"),
+        F.length(F.coalesce(text, F.lit(""))).alias("own_points"),
     )
     same = (
-        tagged[id_col].eqNullSafe(kept["doc_id"])
-        & (tagged["__digest"] == kept["digest"])
-        & (tagged["__points"] == kept["n_points"])
+        tagged["id"].eqNullSafe(kept["doc_id"]) & (tagged["own_digest"] == kept["digest"]) & (tagged["own_points"] == kept["n_points"])
     )
-    once = tagged.join(kept, same, "left_semi").dropDuplicates([id_col, "__digest", "__points", text_col])
-    return once.select(*(once[f"`{c}`"] for c in docs.columns))
+    once = tagged.join(kept, same, "left_semi").dropDuplicates(["id", "text", "own_digest", "own_points"])
+    return once.select(*(F.col(f"row.`{c}`").alias(c) for c in docs.columns))

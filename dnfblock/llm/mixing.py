@@ -240,11 +240,12 @@ def mix(
     """
     sized = materialize(_sized(docs, id_col, text_col, source_col), "sizes")
     made = plan(sized, weights, seed)
-    tagged = docs.withColumns(
-        {"__id": docs[id_col].cast("long"), "__source": docs[source_col], "__size": n_words(docs[text_col])}
+    row = F.struct(*(docs[f"`{c}`"] for c in docs.columns)).alias("__row")  # no column can clash inside
+    tagged = docs.select(
+        row, docs[id_col].cast("long").alias("__id"), docs[source_col].alias("__source"), n_words(docs[text_col]).alias("__size")
     )
     out = _copies(tagged, made, seed).withColumn("__copy", F.explode("__copies"))
-    columns = [out[f"`{c}`"] for c in docs.columns]
+    columns = [F.col(f"__row.`{c}`").alias(c) for c in docs.columns]
     if placed:
         order = F.xxhash64("__id", "__copy.epoch", "__copy.shard", F.lit(seed + 2))
         columns += [F.col("__copy.shard").alias("mix_shard"), order.alias("mix_order")]

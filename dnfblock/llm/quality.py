@@ -169,9 +169,9 @@ def lasso(x: np.ndarray, label: np.ndarray, l1: float, steps: int = 600) -> tupl
 
 def fit(docs: DataFrame, labels: DataFrame, label_col: str = "quality", id_col: str = "doc_id", text_col: str = "text", l1: float = 5e-4) -> RuleModel:
     """Fit on a bounded sample of the labelled rows that are not held out."""
-    sample = labelled_sample(docs, labels, label_col, PARTS, HELD_OUT, id_col)
+    sample = labelled_sample(docs, labels, label_col, PARTS, HELD_OUT, id_col, text_col)
     names = list(statistics(F.lit("")))
-    rows = sample.select(F.col(id_col).cast("long").alias("id"), F.col("__label").alias("label"), *(c.alias(n) for n, c in statistics(sample[text_col]).items()))
+    rows = sample.select("id", "label", *(c.alias(n) for n, c in statistics(sample["text"]).items()))
     rows = rows.toPandas().sort_values(["id", "label", *names], kind="stable")
     label = rows["label"].to_numpy()
     if not len(label) or label.min() == label.max():

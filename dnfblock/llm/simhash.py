@@ -212,8 +212,8 @@ def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str
     Rows that share an id are one document; rows without an id stay.
     """
     found = near_duplicates(docs, id_col, text_col)
-    kept = found.where("doc_id = component_id").select(F.col("doc_id").alias("__keep"))
-    kept = kept.distinct()
-    named, loose = docs.where(docs[id_col].isNotNull()), docs.where(docs[id_col].isNull())
-    once = named.join(kept, named[id_col].cast("long") == kept["__keep"], "left_semi").dropDuplicates([id_col])
-    return once.unionByName(loose)
+    kept = found.where("doc_id = component_id").select(F.col("doc_id").alias("keep")).distinct()
+    rows = docs.select(F.struct(*(docs[f"`{c}`"] for c in docs.columns)).alias("row"), docs[id_col].cast("long").alias("id"))
+    named, loose = rows.where("id IS NOT NULL"), rows.where("id IS NULL")
+    once = named.join(kept, named["id"] == kept["keep"], "left_semi").dropDuplicates(["id"])
+    return once.unionByName(loose).select(*(F.col(f"row.`{c}`").alias(c) for c in docs.columns))

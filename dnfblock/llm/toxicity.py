@@ -84,7 +84,7 @@ class Model:
         return sigmoid(out)
 
 
-def feature_counts(sample: DataFrame, text_col: str) -> DataFrame:
+def feature_counts(sample: DataFrame) -> DataFrame:
     """``feature, pos, all``: texts of the sample that have a feature."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -109,7 +109,7 @@ def feature_counts(sample: DataFrame, text_col: str) -> DataFrame:
                     yield flush()
         yield flush()
 
-    found = sample.select(text_col, "__label").mapInArrow(run, "feature string, pos long, all long")
+    found = sample.select("text", "label").mapInArrow(run, "feature string, pos long, all long")
     return found.groupBy("feature").agg(F.sum("pos").alias("pos"), F.sum("all").alias("all"))
 
 
@@ -129,7 +129,7 @@ def chosen_features(counts: DataFrame, n_pos: int, n_all: int, most: int, least_
     return [r[0] for r in top.collect()] + names
 
 
-def design(sample: DataFrame, text_col: str, id_col: str, features: list[str]):
+def design(sample: DataFrame, features: list[str]):
     """Label, feature positions and counterfactual positions of each sampled text, in order of id."""
     at = {f: i for i, f in enumerate(features)}
 
@@ -150,7 +150,7 @@ def design(sample: DataFrame, text_col: str, id_col: str, features: list[str]):
                 ["id", "label", "own", "swapped"],
             )
 
-    rows = sample.select(F.col(id_col).cast("long"), text_col, "__label").mapInArrow(
+    rows = sample.select("id", "text", "label").mapInArrow(
         run, "id long, label int, own array<int>, swapped array<array<int>>"
     )
     made = rows.toPandas()
@@ -209,14 +209,13 @@ def fit(
     features: int = FEATURES, fair: float = 1.0,
 ) -> Model:
     """Fit on a bounded sample of the labelled rows that are not held out."""
-    sample = labelled_sample(docs, labels, label_col, PARTS, HELD_OUT, id_col)
-    sample = materialize(sample.select(id_col, text_col, "__label"), "toxicity-sample")
-    n_pos, n_all = sample.agg(F.coalesce(F.sum("__label"), F.lit(0)), F.count("*")).first()
+    sample = materialize(labelled_sample(docs, labels, label_col, PARTS, HELD_OUT, id_col, text_col), "toxicity-sample")
+    n_pos, n_all = sample.agg(F.coalesce(F.sum("label"), F.lit(0)), F.count("*")).first()
     if not 0 < n_pos < n_all:
         share = n_pos / n_all if n_all else 0.0
         return Model({}, 40.0 if share else -40.0)
-    names = chosen_features(feature_counts(sample, text_col), n_pos, n_all, features)
-    label, own, swapped = design(sample, text_col, id_col, names)
+    names = chosen_features(feature_counts(sample), n_pos, n_all, features)
+    label, own, swapped = design(sample, names)
     w, bias = fit_weights(label, own, swapped, len(names), fair=fair)
     return Model({f: float(x) for f, x in zip(names, w) if abs(x) > 1e-6}, float(bias))
 

@@ -17,16 +17,17 @@ def fold(id_col: str, parts: int) -> F.Column:
 
 def labelled_sample(
     docs: DataFrame, labels: DataFrame, label_col: str, parts: int, held_out: int,
-    id_col: str = "doc_id", rows: int = SAMPLE_ROWS, seed: int = 5,
+    id_col: str = "doc_id", text_col: str = "text", rows: int = SAMPLE_ROWS, seed: int = 5,
 ) -> DataFrame:
-    """``docs`` that are labelled and not held out, with ``__label``; at most ``rows`` ids.
+    """``id, text, label`` of documents that are labelled and not held out; at most ``rows`` ids.
 
     Ids are taken in hash order. The chosen labels are at most ``rows`` pairs, so they are broadcast.
     """
     known = labels.where(F.col(label_col).isNotNull() & (fold(id_col, parts) != held_out))
-    known = known.groupBy(F.col(id_col).alias("__lid")).agg(F.max(F.col(label_col).cast("int")).alias("__label"))
-    known = known.where("__lid is not null").orderBy(F.xxhash64("__lid", F.lit(seed)), "__lid").limit(rows)
-    return docs.join(F.broadcast(known), docs[id_col] == known["__lid"]).drop("__lid")
+    known = known.groupBy(F.col(id_col).cast("long").alias("known")).agg(F.max(F.col(label_col).cast("int")).alias("label"))
+    known = known.where("known IS NOT NULL").orderBy(F.xxhash64("known", F.lit(seed)), "known").limit(rows)
+    own = docs.select(docs[id_col].cast("long").alias("id"), docs[text_col].alias("text"))
+    return own.join(F.broadcast(known), own["id"] == known["known"]).drop("known")
 
 
 def sigmoid(z: np.ndarray) -> np.ndarray:

@@ -187,7 +187,7 @@ def test_archive_parser():
 
 
 def test_pipeline_equals_its_stages(spark):
-    sf = "/root/testdata/sf0.001"
+    sf = SF
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     sizes = [docs.count()]
     for name, stage in corpus_pipeline.STAGES[:-1]:
