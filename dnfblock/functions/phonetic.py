@@ -194,7 +194,7 @@ def metaphone(word: str, most: int = 4) -> str:
             elif prev == "S" and nxt == "H":
                 out.append("K")
             elif nxt == "H":
-                out.append("K" if i == 0 and len(w) >= 3 and at(2) not in "AEIOU" else "X")
+                out.append("K" if i == 0 and len(w) >= 3 and at(2) in "AEIOU" else "X")
             else:
                 out.append("K")
         elif c == "D":

@@ -74,7 +74,8 @@ class PairingIndex(StatefulProcessor):
                 out += [(rid, o) if side == 0 else (o, rid) for o in held[1 - side]]
                 held[side].append(rid)
         for state, ids in zip(self.sides, held):
-            state.put([(r,) for r in ids[-self.cap :]])
+            if ids:
+                state.put([(r,) for r in ids[-self.cap :]])
         yield pd.DataFrame(out, columns=["l_rid", "r_rid"])
 
     def close(self) -> None:
