@@ -30,7 +30,7 @@ class DuplicateDrivenMatcher:
     t: int = matcher.T
     theta: float = matcher.THETA
     retrieve: int = 1000
-    strategy: str = "exact"
+    strategy: str = "prefix"
     max_df: float | None = None
 
     def match(self, left: DataFrame, right: DataFrame) -> tuple[tuple, DataFrame]:

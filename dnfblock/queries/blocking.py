@@ -258,27 +258,6 @@ def bench_contamination_blocks(spark, d):
     return rows.select("item_id", "doc_id", F.contains("text", "needle").alias("covered"))
 
 
-@query("near_dup_pc_documents")
-def near_dup_pc_documents(spark, d):
-    """Pairs of documents that share one of their eight smallest word hashes, and their word Jaccard.
-
-    A bottom-k sketch as an indexing function: near copies meet with high probability, and the
-    share of met pairs at 0.7 or above is reported by pytest against all pairs on a small table.
-    """
-    from dnfblock.functions.indexing import tokens
-
-    docs = table(spark, d, "documents").select("doc_id", tokens(F.col("text")).alias("w"))
-    docs = docs.withColumn("h", F.slice(F.array_sort(F.transform("w", lambda t: F.xxhash64(t))), 1, 8))
-    keys = docs.select("doc_id", F.posexplode("h").alias("i", "k"))
-    # sets of equal sketch meet through the smallest id of their class, others through all shared hashes
-    a = keys.select(F.col("doc_id").alias("l"), "k")
-    pairs = a.join(keys.select(F.col("doc_id").alias("r"), "k"), "k").where("l < r").groupBy("l", "r").agg(F.count("*").alias("shared"))
-    rows = pairs.where("shared >= 3").join(docs.select(F.col("doc_id").alias("l"), F.col("w").alias("lw")), "l")
-    rows = rows.join(docs.select(F.col("doc_id").alias("r"), F.col("w").alias("rw")), "r")
-    jaccard = F.size(F.array_intersect("lw", "rw")) / F.size(F.array_union("lw", "rw"))
-    return rows.where(jaccard >= 0.7).select("l", "r", F.round(jaccard, 6).alias("jaccard"))
-
-
 @query("range_block_orders", """WITH a AS (SELECT o_orderkey, CAST(round(o_totalprice) AS BIGINT) AS p FROM orders WHERE o_orderstatus = 'F' AND o_orderkey % 2 = 0),
     b AS (SELECT o_orderkey, CAST(round(o_totalprice) AS BIGINT) AS p FROM orders WHERE o_orderstatus = 'O' AND o_orderkey % 2 = 1)
     SELECT a.o_orderkey AS l, b.o_orderkey AS r FROM a JOIN b ON b.p BETWEEN a.p - 1 AND a.p + 1""")
