@@ -86,12 +86,12 @@ def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     tagged = docs.select(
         F.struct(*(docs[f"`{c}`"] for c in docs.columns)).alias("row"),  # no column can clash inside
         docs[id_col].alias("id"),
-        text.alias("text"),
+        F.unhex(F.sha2(F.coalesce(text, F.lit("")), 256)).alias("own_text"),
         F.unhex(F.md5(normal_form(text))).alias("own_digest"),
         F.length(F.coalesce(text, F.lit(""))).alias("own_points"),
     )
     same = (
         tagged["id"].eqNullSafe(kept["doc_id"]) & (tagged["own_digest"] == kept["digest"]) & (tagged["own_points"] == kept["n_points"])
     )
-    once = tagged.join(kept, same, "left_semi").dropDuplicates(["id", "text", "own_digest", "own_points"])
+    once = tagged.join(kept, same, "left_semi").dropDuplicates(["id", "own_text"])
     return once.select(*(F.col(f"row.`{c}`").alias(c) for c in docs.columns))
