@@ -35,7 +35,7 @@ from dnfblock.storage import materialize
 
 CAPACITY = 2048
 END_ID = 0
-_CACHE_WORDS = 600_000
+_CACHE_WORDS = 400_000
 _BLANKS = " \t\n\x0b\f\r"
 #: Words of printable ASCII and Latin letters: these have one normal form and lower-case by character.
 _PLAIN = re.compile("[!-~\u00a1-\u024f]+").fullmatch

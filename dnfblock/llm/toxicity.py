@@ -75,7 +75,7 @@ class Model:
             for word in words_of(text):
                 hit = cache.get(word)
                 if hit is None:
-                    if len(cache) > 300_000:
+                    if len(cache) > 100_000:
                         cache.clear()
                     hit = cache[word] = tuple(f for f in features_of(word) if f in known)
                 if hit:
