@@ -1,4 +1,4 @@
-"""Phonetic codes of lower-case words a-z as chains of built-in functions, and two metaphones.
+"""Phonetic codes of lower-case words a-z as chains of built-in functions; the two metaphones in Python.
 
 Chains are lists of (pattern, replacement) without look-behind or back-references where SQL twins
 need them; repeats collapse letter by letter.
@@ -6,6 +6,8 @@ need them; repeats collapse letter by letter.
 
 from __future__ import annotations
 
+import re
+from collections.abc import Callable
 from functools import reduce
 
 import pandas as pd
@@ -244,20 +246,118 @@ def metaphone(word: str, most: int = 4) -> str:
     return "".join(out)[:most]
 
 
-def metaphone_keys(values: Column) -> Column:
-    """Metaphones of the tokens of a value; Arrow batches, each distinct token of a batch coded once."""
+#: Double Metaphone; fixed values of the published rules, by letter, first match wins: pattern at the letter, code, other
+#: code (None: the same), letters read, and a trait that the word must have or, after "-", must not have.
+_DOUBLE = {
+    "b": [("bb", "P", None, 2, ""), ("b", "P", None, 1, "")],
+    "c": [
+        ("chia", "K", None, 2, ""), ("(?<=[^aeiouy]a)ch(?![ie])", "K", None, 2, ""), ("(?<=[bm]a)cher", "K", None, 2, ""),
+        ("^caesar", "S", None, 2, ""),
+        ("(?<!^)chae", "K", "X", 2, ""), ("^ch(?:arac|aris|or(?!e)|ym|ia|em)", "K", None, 2, ""),
+        ("ch", "K", None, 2, "sch"), ("(?<=or)ch(?:es|id)|(?<=ar)chit", "K", None, 2, ""), ("ch[ts]", "K", None, 2, ""),
+        ("(?:(?<=[aoue])|^)ch(?:[lrnmbhfvw]|$)", "K", None, 2, ""),
+        ("(?<!^)ch", "K", None, 2, "mc"), ("(?<!^)ch", "X", "K", 2, ""), ("ch", "X", None, 2, ""),
+        ("(?<!wi)cz", "S", "X", 2, ""), ("ccia", "X", None, 3, ""),
+        ("(?<=^a)cc(?:[ie]|h(?!u))|(?<=u)cce[es]", "KS", None, 3, ""), ("(?<!^m)cc(?:[ie]|h(?!u))", "X", None, 3, ""), ("(?<!^m)cc", "K", None, 2, ""),
+        ("c[kgq]", "K", None, 2, ""), ("ci[oea]", "S", "X", 2, ""), ("c[iey]", "S", None, 2, ""), ("c(?:[kq]|c(?![ei]))", "K", None, 2, ""), ("c", "K", None, 1, ""),
+    ],
+    "d": [("dg[iey]", "J", None, 3, ""), ("dg", "TK", None, 2, ""), ("d[td]", "T", None, 2, ""), ("d", "T", None, 1, "")],
+    "f": [("ff", "F", None, 2, ""), ("f", "F", None, 1, "")],
+    "g": [
+        ("(?<=[^aeiouy])gh", "K", None, 2, ""), ("^ghi", "J", None, 2, ""), ("^gh", "K", None, 2, ""),
+        ("(?<=[bhd].)gh|(?<=[bhd]..)gh|(?<=[bh]...)gh", "", None, 2, ""), ("(?<=[cglrt].u)gh", "F", None, 2, ""), ("(?<!i)gh", "K", None, 2, ""), ("gh", "", None, 2, ""),
+        ("(?<=^[aeiouy])gn", "KN", "N", 2, "-slavic"), ("gn(?!ey)", "N", "KN", 2, "-slavic"), ("gn", "KN", None, 2, ""),
+        ("gli", "KL", "L", 2, "-slavic"), ("^g(?:y|e[spblyir]|i[blne])", "K", "J", 2, ""),
+        ("(?<![ei])g(?:er|y)(?<!rgy)(?<!ogy)", "K", "J", 2, "-anger"),
+        ("g[eiy]|(?<=[ao])ggi", "K", None, 2, "sch"), ("get", "K", None, 2, ""), ("gier", "J", None, 2, ""), ("g[eiy]|(?<=[ao])ggi", "J", "K", 2, ""),
+        ("gg", "K", None, 2, ""), ("g", "K", None, 1, ""),
+    ],
+    "h": [("(?:^|(?<=[aeiouy]))h[aeiouy]", "H", None, 2, ""), ("h", "", None, 1, "")],
+    "j": [
+        ("^jose$", "H", None, 1, ""), ("jose", "J", "H", 1, ""), ("^jj", "J", "A", 2, ""), ("^j", "J", "A", 1, ""),
+        ("(?<=[aeiouy])j[ao]", "J", "H", 1, "-slavic"), ("j$", "J", " ", 1, ""), 
+        ("(?<![skl])jj", "J", None, 2, ""), ("(?<![skl])j(?![ltksnmbz])", "J", None, 1, ""), ("jj", "", None, 2, ""), ("j", "", None, 1, ""),
+    ],
+    "k": [("kk", "K", None, 2, ""), ("k", "K", None, 1, "")],
+    "l": [
+        ("(?<=i)ll[oa]$|(?<=a)lle$", "L", "", 2, ""), ("(?<=a)lle", "L", "", 2, "spanish"), ("ll", "L", None, 2, ""), ("l", "L", None, 1, ""),
+    ],
+    "m": [("mm|(?<=u)mb(?:$|er)", "M", None, 2, ""), ("m", "M", None, 1, "")],
+    "n": [("nn", "N", None, 2, ""), ("n", "N", None, 1, "")],
+    "p": [("ph", "F", None, 2, ""), ("p[pb]", "P", None, 2, ""), ("p", "P", None, 1, "")],
+    "q": [("qq", "K", None, 2, ""), ("q", "K", None, 1, "")],
+    "r": [("(?<=ie)(?<!m[ea]ie)r$", "", "R", 1, "-slavic"), ("rr", "R", None, 2, ""), ("r", "R", None, 1, "")],
+    "s": [
+        ("(?<=[iy])sl", "", None, 1, ""), ("^sugar", "X", "S", 1, ""), ("sh(?:eim|oek|olm|olz)", "S", None, 2, ""), ("sh", "X", None, 2, ""),
+        ("si[oa]", "S", None, 3, "slavic"), ("si[oa]", "S", "X", 3, ""), ("sz", "S", "X", 2, ""), ("^s[mnlw]", "S", "X", 1, ""),
+        ("sche[rn]", "X", "SK", 3, ""), ("sch(?:oo|uy|e[dm])", "SK", None, 3, ""), ("^sch(?![aeiouyw])", "X", "S", 3, ""), ("sch", "X", None, 3, ""),
+        ("sc[iey]", "S", None, 3, ""), ("sc", "SK", None, 3, ""), ("(?<=[ao]i)s$", "", "S", 1, ""), ("ss", "S", None, 2, ""), ("s", "S", None, 1, ""),
+    ],
+    "t": [
+        ("tion|tia|tch", "X", None, 3, ""), ("th[oa]m", "T", None, 2, ""), ("tth", "T", None, 2, "sch"), ("th", "T", None, 2, "sch"),
+        ("tth|th", "0", "T", 2, ""), ("t[td]", "T", None, 2, ""), ("t", "T", None, 1, ""),
+    ],
+    "v": [("vv", "F", None, 2, ""), ("v", "F", None, 1, "")],
+    "w": [
+        ("wr", "R", None, 2, ""), ("^w[aeiouy]", "A", "F", 1, ""), ("^wh", "A", None, 1, ""), ("(?<=[aeiouy])w$|(?<=[eo])wsk[iy]", "", "F", 1, ""),
+        ("w", "", "F", 1, "sch"), ("wi[ct]z", "TS", "FX", 4, ""), ("w", "", None, 1, ""),
+    ],
+    "x": [("^x", "S", None, 1, ""), ("(?<=iau)x$|(?<=eau)x$|(?<=[ao]u)x$", "", None, 1, ""), ("x[cx]", "KS", None, 2, ""), ("x", "KS", None, 1, "")],
+    "z": [
+        ("zh", "J", None, 2, ""), ("zz[oia]", "S", "TS", 2, ""), ("(?<=[^t])zz", "S", "TS", 2, "slavic"), ("(?<=[^t])z", "S", "TS", 1, "slavic"),
+        ("zz", "S", None, 2, ""), ("z", "S", None, 1, ""),
+    ],
+}
+for _c in "aeiouy":
+    _DOUBLE[_c] = [(f"^{_c}", "A", None, 1, ""), (_c, "", None, 1, "")]
+_RULES = {c: [(re.compile(p), a, a if b is None else b, n, t) for p, a, b, n, t in rules] for c, rules in _DOUBLE.items()}
+_TRAITS = {
+    "slavic": re.compile("[wk]|cz"),
+    "sch": re.compile("^sch"),
+    "mc": re.compile("^mc"),
+    "anger": re.compile("^[drm]anger"),
+    "spanish": re.compile("(?:as|os|a|o)$"),
+}
+_SILENT = re.compile("^(?:[gkp]n|wr|ps)")
+
+
+def double_metaphone(word: str, most: int = 4) -> tuple[str, str]:
+    """Both codes of a word a-z, up to ``most`` letters each; they are equal where the rules know one sound."""
+    traits = {name for name, p in _TRAITS.items() if p.search(word)}
+    codes, at = ["", ""], 1 if _SILENT.match(word) else 0
+    while at < len(word) and min(map(len, codes)) < most:
+        for pattern, one, two, step, trait in _RULES[word[at]]:
+            if pattern.match(word, at) and (not trait or (trait[1:] not in traits if trait[0] == "-" else trait in traits)):
+                codes = [(codes[0] + one)[:most], (codes[1] + two)[:most]]
+                at += step
+                break
+    return codes[0], codes[1]
+
+
+def _token_keys(values: Column, code: Callable[[str], tuple[str, ...]]) -> Column:
+    """Codes of the tokens of a value; Arrow batches, each distinct token of a batch coded once."""
 
     @F.pandas_udf("array<string>")
     def coded(texts: pd.Series) -> pd.Series:
-        seen: dict[str, str] = {}
+        seen: dict[str, tuple[str, ...]] = {}
 
         def keys(text):
             words = "".join(c if c.isascii() and c.isalnum() else " " for c in (text or "").lower()).split()
             for t in words:
                 if t.isalpha() and t not in seen:
-                    seen[t] = metaphone(t)
-            return sorted({seen[t] for t in words if t.isalpha()} - {""})
+                    seen[t] = code(t)
+            return sorted({c for t in words if t.isalpha() for c in seen[t]} - {""})
 
         return texts.map(keys)
 
     return coded(values)
+
+
+def metaphone_keys(values: Column) -> Column:
+    """Metaphones of the tokens of a value."""
+    return _token_keys(values, lambda t: (metaphone(t),))
+
+
+def double_metaphone_keys(values: Column) -> Column:
+    """Both codes of the tokens of a value, each key once."""
+    return _token_keys(values, double_metaphone)

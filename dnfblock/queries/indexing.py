@@ -40,13 +40,22 @@ for _name, _source in INDEXED:
     _index(_name, _source)
 
 
-@query("idx_metaphone_part")
-def idx_metaphone_part(spark, d):
+def _metaphones(spark, d, keys):
     p = table(spark, d, "part")
-    codes = p.select("p_name").distinct().select("p_name", phonetic.metaphone_keys(F.col("p_name")).alias("codes"))
+    codes = p.select("p_name").distinct().select("p_name", keys(F.col("p_name")).alias("codes"))
     return p.join(codes, "p_name").select(F.col("p_partkey").alias("rid"), F.explode("codes").alias("bkv"))
 
 
+@query("idx_metaphone_part")
+def idx_metaphone_part(spark, d):
+    return _metaphones(spark, d, phonetic.metaphone_keys)
+
+
+@query("idx_double_metaphone_part")
+def idx_double_metaphone_part(spark, d):
+    return _metaphones(spark, d, phonetic.double_metaphone_keys)
+
+
 @query(
     "gbp_pairs_supplier",
     f"""WITH s AS (SELECT s_suppkey, {twins.keys('common_int', 's_name')} AS k FROM supplier), c AS (SELECT c_custkey, {twins.keys('common_int', 'c_name')} AS k FROM customer)

@@ -1,5 +1,7 @@
 """Codes equal those of the JVM encoders that Spark ships with."""
 
+import random
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -32,6 +34,15 @@ def test_soundex_and_metaphone(spark):
     assert [(w, phonetic.metaphone(w)) for w in WORDS] == [(w, meta.metaphone(w)) for w in WORDS]
 
 
+def test_double_metaphone(spark):
+    rng = random.Random(7)
+    parts = "a e i o u y b c d f g h j k l m n p q r s t v w x z ch cc sch gh gn th tio cia dg ll umb zz wicz sh ps kn wr ie er ai".split()
+    words = WORDS + ["".join(rng.choices(parts, k=rng.randrange(1, 8))) for _ in range(1500)]
+    encoder = spark._jvm.org.apache.commons.codec.language.DoubleMetaphone()
+    both = [(w, (encoder.doubleMetaphone(w, False).strip(), encoder.doubleMetaphone(w, True))) for w in words]
+    assert [(w, phonetic.double_metaphone(w)) for w in words] == both
+
+
 def test_odd_values_give_no_code(spark):
     values = [["", "1st", "x9", "é ß", "a"], None, []]
     df = spark.createDataFrame([(v,) for v in values], "v array<string>")
