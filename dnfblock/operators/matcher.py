@@ -12,7 +12,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -21,11 +21,16 @@ from dnfblock.functions.indexing import normalized
 T, THETA = 50, 0.5
 
 
+def words_of(fields: list[str]) -> Column:
+    """Tokens, repeats included, over all values of set-valued ``fields``; nulls among them have none."""
+    values = F.flatten(F.array(*(F.coalesce(f, F.array().cast("array<string>")) for f in fields)))
+    known = F.filter(values, lambda v: v.isNotNull())
+    return F.flatten(F.transform(known, lambda v: F.filter(F.split(normalized(v), " "), lambda t: t != "")))
+
+
 def record_tokens(df: DataFrame, fields: list[str]) -> DataFrame:
     """``rid, token``, repeats included, over all values of ``fields``."""
-    values = F.flatten(F.array(*(F.coalesce(f, F.array().cast("array<string>")) for f in fields)))
-    words = F.flatten(F.transform(values, lambda v: F.filter(F.split(normalized(v), " "), lambda t: t != "")))
-    return df.select("rid", F.explode(words).alias("token"))
+    return df.select("rid", F.explode(words_of(fields)).alias("token"))
 
 
 def weights(left: DataFrame, right: DataFrame, left_fields: list[str], right_fields: list[str], max_df: float | None = None) -> DataFrame:
@@ -123,7 +128,11 @@ def soft_tfidf(a: list[str], b: list[str], idf: dict[str, float], theta: float =
         norm = math.sqrt(sum(x * x for x in w.values()))
         return {t: x / norm for t, x in w.items()} if norm else {}
 
-    va, vb = vector(a), vector(b)
+    return soft_cosine(vector(a), vector(b), theta)
+
+
+def soft_cosine(va: dict[str, float], vb: dict[str, float], theta: float = THETA) -> float:
+    """Soft-TFIDF of two vectors of length one: the mean of both directions."""
 
     def one_way(x: dict[str, float], y: dict[str, float]) -> float:
         total = 0.0

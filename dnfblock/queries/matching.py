@@ -4,7 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from dnfblock.operators import matcher, metrics
+from dnfblock.operators import blocking, decision, matcher, metrics
+from dnfblock.operators.scheme import Atom, Scheme
 from dnfblock.plans.experiments import Bench
 from dnfblock.queries import twins
 from dnfblock.queries.catalogue import query
@@ -137,3 +138,15 @@ def mapping_quality_all(spark, d):
 def mapping_sweep_t_theta(spark, d):
     bench = Bench(spark, d, "p1")
     return _mapping_rows(spark, [_quality(bench, t, theta) for t, theta in ((10, 0.5), (50, 0.0), (50, 0.5), (50, 0.9), (100, 0.5))])
+
+
+@query("classify_p1")
+def classify_p1(spark, d):
+    """Decisions on the candidates of a scheme over the fields that the matcher mapped, against the truth."""
+    bench = Bench(spark, d, "p1")
+    scheme = Scheme.of(*(Atom.complex("exact", a, b) for a, b in P1.mappings if "fullName" in a or "balance" in a))
+    pairs = blocking.candidates(bench.left, bench.right, scheme)
+    made = decision.classify(pairs, bench.weights, bench.left, bench.right, bench.q)
+    hits = bench.truth.select("l_rid", "r_rid", F.lit(1).alias("hit"))
+    rows = made.join(hits, ["l_rid", "r_rid"], "left").groupBy("decision")
+    return rows.agg(F.count("*").alias("n_pairs"), F.coalesce(F.sum("hit"), F.lit(0)).alias("n_true"), F.round(F.avg("score"), 6).alias("mean_score"))

@@ -54,3 +54,8 @@ def test_prefix_strategy_equals_exact(spark, t):
     w = matcher.weights(make("l"), make("r"), ["v"], ["v"])
     rows = lambda s: [tuple(r) for r in matcher.top_duplicates(w, t, s).orderBy("rank").collect()]
     assert rows("prefix") == rows("exact")
+
+
+def test_nulls_among_values_lose_no_tokens(spark):
+    df = spark.createDataFrame([("a", [None, "Red oak"], None), ("b", [None], ["elm", None])], "rid string, v array<string>, x array<string>")
+    assert sorted(map(tuple, matcher.record_tokens(df, ["v", "x"]).collect())) == [("a", "oak"), ("a", "red"), ("b", "elm")]
