@@ -2,14 +2,17 @@
 
 Documents fall into blocks of their source by a hash of their id. A source with a target of t words
 and z words of its own is drawn t/z times: whole epochs, then blocks in the order of a permutation
-while they fit the target, then single documents of the next ``POOL`` blocks. The draws of all sources are the balls of an
-urn; a tree over the output shards splits the exact block quotas in two again and again, each time
+that fit the target, then single documents of the blocks that did not. A block that does not fit is
+passed over and pooled; blocks are drawn until ``POOL`` are pooled and their documents that fit what is
+still wanted cover it. Where an epoch ends before that (long documents), the next one goes on.
+A source thus misses its target by less than the shortest document that its pool leaves, or by less
+than any that it could still take. The draws of all sources are the balls of an urn; a tree over the output shards splits the exact block quotas in two again and again, each time
 by a multivariate hypergeometric draw, and its leaves say how many consecutive draws of every
 source a shard gets. Draws of a shard are therefore disjoint from those of any other. Inside a
 shard, documents stand in the order of a hash.
 
-The driver holds one row per source and one per block, and blocks are a fixed number (``blocks``)
-plus one per source. Rows of a hot source are spread over its blocks.
+The driver holds one row per source and one per block and power of two of document sizes, and blocks
+are a fixed number (``blocks``) plus one per source. Rows of a hot source are spread over its blocks.
 
 Defined cases: null text has size 0 and a document of size 0 adds nothing; a null source is a source
 of its own, last in order; repeated rows are drawn like others; an empty table gives an empty
@@ -91,7 +94,7 @@ class MixPlan:
     """What the driver decides: sources, their targets, and the draws of blocks."""
 
     sources: pd.DataFrame  # source, rank, n_blocks, size, target
-    draws: pd.DataFrame  # rank, block, epoch, shard, wanted (words that the last blocks give together, else -1)
+    draws: pd.DataFrame  # rank, block, epoch, shard, wanted (words that the pooled blocks give together, else -1)
     shards: int
 
 
@@ -107,6 +110,49 @@ def _blocked(docs: DataFrame, plan_sources: pd.DataFrame, seed: int) -> DataFram
     return joined.withColumn("__block", block).drop("__src", "__n_blocks")
 
 
+def _kinds(blocked: DataFrame) -> dict[int, dict[int, np.ndarray]]:
+    """Per rank and block, rows (words, shortest, longest) of its documents by the power of two of their size."""
+    kind = F.length(F.bin("__size"))
+    found = blocked.groupBy("__rank", "__block", kind.alias("kind")).agg(
+        F.sum("__size").alias("n"), F.min("__size").alias("low"), F.max("__size").alias("high")
+    )
+    table = np.stack([c.to_numpy() for c in found.drop("kind").toArrow().columns], axis=1).astype(np.int64)
+    table = table[np.lexsort((table[:, 1], table[:, 0]))]
+    out: dict[int, dict[int, np.ndarray]] = {}
+    starts = np.flatnonzero(np.any(np.diff(table[:, :2], axis=0, prepend=-1), axis=1))
+    for rows in np.split(table, starts[1:]):
+        if len(rows):
+            out.setdefault(int(rows[0, 0]), {})[int(rows[0, 1])] = rows[:, 2:]
+    return out
+
+
+def covered(kinds: np.ndarray, left: float) -> int:
+    """Words, at least, of documents that are no longer than ``left``."""
+    words, low, high = kinds.T
+    return int(words[high <= left].sum() + low[(low <= left) & (left < high)].sum())
+
+
+def draw(target: float, n_blocks: int, kinds: dict[int, np.ndarray], seed: list[int]) -> tuple[list, list, float]:
+    """``(epoch, block)`` drawn whole, those pooled for single documents, and the words wanted of the pool."""
+    left, whole, pooled, pool = target, [], [], np.empty((0, 3), np.int64)
+    for epoch in range(MAX_EPOCHS):
+        for block in np.random.default_rng([*seed, epoch]).permutation(n_blocks).tolist():
+            if left < 0.5 or (len(pooled) >= POOL and covered(pool, left) >= left):
+                break
+            if block not in kinds:
+                continue
+            words = int(kinds[block][:, 0].sum())
+            if words <= left + 1e-6:
+                whole.append((epoch, block))
+                left -= words
+            else:
+                pooled.append((epoch, block))
+                pool = np.concatenate((pool, kinds[block]))
+        if left < 0.5 or covered(pool, left) >= left:
+            break
+    return whole, [(e, b) for e, b in pooled if covered(kinds[b], left)] if left >= 0.5 else [], left
+
+
 def plan(
     sized: DataFrame, weights=(1, 2, 3), seed: int = SEED, blocks: int = BLOCKS, shard_words: int = SHARD_WORDS
 ) -> MixPlan:
@@ -120,26 +166,14 @@ def plan(
     block_words = max(LEAST_BLOCK, -(-total // blocks))
     n_blocks = [max(1, min(known[s][1], n // block_words)) for s, n in zip(order, sizes)]
     sources = pd.DataFrame({"source": order, "rank": range(len(order)), "n_blocks": n_blocks, "size": sizes, "target": share})
-    words = [np.zeros(b, np.int64) for b in n_blocks]
-    for r in _blocked(sized, sources, seed).groupBy("__rank", "__block").agg(F.sum("__size").alias("n")).collect():
-        words[r["__rank"]][r["__block"]] = r["n"]
+    kinds = _kinds(_blocked(sized, sources, seed))
     draws: list[tuple] = []
     quotas = np.zeros(len(order), np.int64)
     for s in range(len(order)):
-        left, pool = share[s], set()
-        for epoch in range(MAX_EPOCHS):
-            for block in np.random.default_rng([seed, s, epoch]).permutation(n_blocks[s]):
-                if left < 0.5 or len(pool) == POOL:
-                    break
-                whole = not pool and words[s][block] <= left + 1e-6
-                if block in pool:
-                    continue
-                draws.append((s, int(block), epoch, int(quotas[s]), -1.0 if whole else left))
-                quotas[s] += 1
-                if whole:
-                    left -= words[s][block]
-                else:
-                    pool.add(block)
+        whole, pooled, left = draw(share[s], n_blocks[s], kinds.get(s, {}), [seed, s])
+        drawn = [(e, b, -1.0) for e, b in whole] + [(e, b, left) for e, b in pooled]
+        draws += [(s, b, e, at, w) for at, (e, b, w) in enumerate(drawn)]
+        quotas[s] = len(drawn)
     shards = int(min(MOST_SHARDS, max(1, -(-total // shard_words))))
     ends = splitting_tree(quotas, shards, seed).cumsum(axis=0)
     rows = [(s, b, e, int(np.searchsorted(ends[:, s], at, side="right")), w) for s, b, e, at, w in draws]
@@ -161,28 +195,28 @@ def _drawn(docs: DataFrame, made: MixPlan, seed: int) -> DataFrame:
 
 
 def _picked(blocked: DataFrame, seed: int) -> DataFrame:
-    """``__id, __size, __nth`` of the documents that last blocks give, in hash order as far as they fit.
+    """``__rank, __id, __size, __nth, __epochs`` of the documents that pooled blocks give, in hash order as far as they fit.
 
-    A source's last blocks are a bounded group. A document that is longer than what is still wanted
-    is passed over.
+    A source's documents that can fit are a bounded group. One that is longer than what is still
+    wanted is passed over.
     """
 
     def take(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values(["order", "__id", "__size"], kind="stable")
+        rows = rows.sort_values(["epoch", "order", "__id", "__size"], kind="stable")
         left, kept = rows["wanted"].iloc[0], []
         for n in rows["__size"]:
-            fits = 0 < n <= left
-            kept.append(fits)
-            left -= n if fits else 0
-        rows = rows.assign(__nth=rows.groupby(["__id", "__size"], dropna=False).cumcount())
-        return rows.loc[kept, ["__id", "__size", "__nth"]]
+            kept.append(n <= left)
+            left -= n if n <= left else 0
+        rows = rows.assign(__nth=rows.groupby(["__id", "__size", "epoch"], dropna=False).cumcount())
+        taken = rows.loc[kept].groupby(["__rank", "__id", "__size", "__nth"], dropna=False)["epoch"]
+        return taken.agg(list).rename("__epochs").reset_index()
 
-    part = blocked.where(F.exists("__draws", lambda d: d["wanted"] >= 0)).select(
+    part = blocked.select(
         "__rank", "__id", "__size",
         F.xxhash64("__id", "__size", F.lit(seed + 1)).alias("order"),
-        F.filter("__draws", lambda d: d["wanted"] >= 0)[0]["wanted"].alias("wanted"),
-    )
-    return part.groupBy("__rank").applyInPandas(take, "__id long, __size long, __nth int")
+        F.explode(F.filter("__draws", lambda d: (d["wanted"] >= 0) & F.col("__size").between(1, d["wanted"]))).alias("d"),
+    ).select("__rank", "__id", "__size", "order", "d.epoch", "d.wanted")
+    return part.groupBy("__rank").applyInPandas(take, "__rank int, __id long, __size long, __nth int, __epochs array<int>")
 
 
 def _copies(docs: DataFrame, made: MixPlan, seed: int) -> DataFrame:
@@ -191,20 +225,24 @@ def _copies(docs: DataFrame, made: MixPlan, seed: int) -> DataFrame:
 
     drawn = _drawn(docs, made, seed)
     last = F.exists("__draws", lambda d: d["wanted"] >= 0)
-    whole = F.transform(
-        F.filter("__draws", lambda d: d["wanted"] < 0), lambda d: F.struct(d["epoch"], d["shard"])
-    )
-    every = F.transform("__draws", lambda d: F.struct(d["epoch"], d["shard"]))
-    sure = drawn.where(~last).withColumn("__copies", whole)
+    none = F.array().cast("array<int>")
+
+    def taken(epochs: Column) -> Column:
+        found = F.filter("__draws", lambda d: (d["wanted"] < 0) | F.array_contains(epochs, d["epoch"]))
+        return F.transform(found, lambda d: F.struct(d["epoch"], d["shard"]))
+
+    sure = drawn.where(~last).withColumn("__copies", taken(none))
     part = drawn.where(last)
-    nth = F.row_number().over(Window.partitionBy("__id", "__size").orderBy("__id")) - 1
+    nth = F.row_number().over(Window.partitionBy("__rank", "__id", "__size").orderBy("__id")) - 1
     part = part.withColumn("__nth", nth)
     picks = _picked(drawn, seed).select(
-        F.col("__id").alias("__pid"), F.col("__size").alias("__psize"), F.col("__nth").alias("__pnth"), F.lit(True).alias("__pick")
-    )
-    same = part["__id"].eqNullSafe(picks["__pid"]) & (part["__size"] == picks["__psize"]) & (part["__nth"] == picks["__pnth"])
-    part = part.join(picks, same, "left").withColumn("__copies", F.when(F.col("__pick"), every).otherwise(whole))
-    return sure.unionByName(part.drop("__nth", "__pid", "__psize", "__pnth", "__pick"))
+        F.col("__rank").alias("__prank"), F.col("__id").alias("__pid"), F.col("__size").alias("__psize"),
+        F.col("__nth").alias("__pnth"), "__epochs",
+    )
+    same = (part["__rank"] == picks["__prank"]) & part["__id"].eqNullSafe(picks["__pid"])
+    same = same & (part["__size"] == picks["__psize"]) & (part["__nth"] == picks["__pnth"])
+    part = part.join(picks, same, "left").withColumn("__copies", taken(F.coalesce("__epochs", none)))
+    return sure.unionByName(part.drop("__nth", "__prank", "__pid", "__psize", "__pnth", "__epochs"))
 
 
 def _sized(docs: DataFrame, id_col: str, text_col: str, source_col: str) -> DataFrame:
