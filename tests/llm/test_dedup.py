@@ -9,7 +9,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from dnfblock.llm import components, exact_dedup, simhash
+from dnfblock.llm import components, exact_dedup, shingles, simhash
 
 BLANK = re.compile(r"[\x20\x09-\x0D]")
 SCHEMA = "doc_id long, text string, digest string, n_points int, fp long, __rank int"
@@ -166,3 +166,34 @@ def test_chain_components(spark):
     roots = {r.node: r.root for r in components.connected_components(links, "a", "b").collect()}
     assert all(roots[i] == 0 for i in range(n + 1)) and roots[400] == roots[500] == 400 and len(roots) == n + 3
     assert components.connected_components(links.limit(0), "a", "b").count() == 0
+
+
+def grams(text):
+    words = text.split()
+    return {tuple(words[i : i + 5]) for i in range(max(1, len(words) - 4))}
+
+
+@pytest.mark.parametrize("least", [0, shingles.LEAST_PAIRS])
+def test_stage_leaves_no_near_copies(spark, monkeypatch, least):
+    """No two texts at a five-word Jaccard of 0.8 or more stay, and each that goes was near another."""
+    from corpus_pipeline import drop_near_copies
+
+    monkeypatch.setattr(shingles, "LEAST_PAIRS", least)
+    rng = random.Random(3)
+    texts = []
+    for _ in range(12):
+        words = [f"w{rng.randrange(5000)}" for _ in range(200)]
+        for n in (0, 1, 2, 3, 4, 20, *([2] * 20 if len(texts) < 7 else [])):
+            new = list(words)
+            for at in rng.sample(range(200), n):
+                new[at] = f"x{rng.randrange(5000)}"
+            texts.append(" ".join(new))
+    texts += ["", "short", "short one"]
+    near = lambda a, b: 5 * len(grams(a) & grams(b)) >= 4 * len(grams(a) | grams(b))
+    out = drop_near_copies(spark, spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string"), "")
+    kept = {r.doc_id for r in out.collect()}
+    assert out.columns == ["doc_id", "text"] and not [(a, b) for a in kept for b in kept if a < b and near(texts[a], texts[b])]
+    fps = [fingerprint(t) for t in texts]
+    linked = lambda a, b: near(texts[a], texts[b]) or (fps[a] ^ fps[b]).bit_count() <= 3
+    assert all(any(linked(a, b) for b in range(len(texts)) if a != b) for a in range(len(texts)) if a not in kept)
+    assert drop_near_copies(spark, out.limit(0), "").count() == 0
