@@ -12,6 +12,8 @@ from pyspark.sql.streaming.stateful_processor import StatefulProcessor, Stateful
 from dnfblock.operators.blocking import index
 from dnfblock.operators.scheme import Scheme
 
+MOST_PAIRS = 100_000  # pairs that are handed on at once
+
 
 def stream_candidates_static(stream: DataFrame, static: DataFrame, scheme: Scheme) -> DataFrame:
     """New left records against a static right side: stateless, keys are made in the stream's plan.
@@ -55,37 +57,42 @@ def block_sessions(events: DataFrame, key: str, time: str = "ts", gap: str = "30
 class PairingIndex(StatefulProcessor):
     """Per key, the records of either side so far; a new record meets those of the other side.
 
-    State holds at most ``cap`` records a key and side, oldest out first, and forgets after ``ttl_ms``.
+    State holds every record, and forgets after ``ttl_ms`` only.
     """
 
-    def __init__(self, cap: int = 1000, ttl_ms: int = 86_400_000):
-        self.cap, self.ttl = cap, ttl_ms
+    def __init__(self, ttl_ms: int = 86_400_000):
+        self.ttl = ttl_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         self.sides = [handle.getListState(f"side{s}", "rid string", ttlDurationMs=self.ttl) for s in (0, 1)]
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
         held = [[r[0] for r in s.get()] for s in self.sides]
-        out: list[tuple[str, str]] = []
+        known = [set(ids) for ids in held]
         for frame in rows:
+            out: list[tuple[str, str]] = []
             for side, rid in zip(frame["side"], frame["rid"]):
-                if rid in held[side]:
+                if rid in known[side]:
                     continue
                 out += [(rid, o) if side == 0 else (o, rid) for o in held[1 - side]]
+                known[side].add(rid)
                 held[side].append(rid)
+                if len(out) >= MOST_PAIRS:
+                    yield pd.DataFrame(out, columns=["l_rid", "r_rid"])
+                    out = []
+            yield pd.DataFrame(out, columns=["l_rid", "r_rid"])
         for state, ids in zip(self.sides, held):
             if ids:
-                state.put([(r,) for r in ids[-self.cap :]])
-        yield pd.DataFrame(out, columns=["l_rid", "r_rid"])
+                state.put([(r,) for r in ids])
 
     def close(self) -> None:
         pass
 
 
-def stateful_candidates(keys: DataFrame, cap: int = 1000, ttl_ms: int = 86_400_000) -> DataFrame:
+def stateful_candidates(keys: DataFrame, ttl_ms: int = 86_400_000) -> DataFrame:
     """``l_rid, r_rid`` from a stream of ``key, side, rid``; needs the RocksDB state store provider."""
     return keys.groupBy("key").transformWithStateInPandas(
-        PairingIndex(cap, ttl_ms), outputStructType="l_rid string, r_rid string", outputMode="Append", timeMode="ProcessingTime"
+        PairingIndex(ttl_ms), outputStructType="l_rid string, r_rid string", outputMode="Append", timeMode="ProcessingTime"
     )
 
 

@@ -1,6 +1,8 @@
 import datetime as dt
 import json
 
+import pandas as pd
+
 from dnfblock.operators import blocking
 from dnfblock.operators.scheme import Atom, Scheme
 from dnfblock.streaming import streams
@@ -60,6 +62,34 @@ def test_stateful_index_emits_each_pair_once(spark, tmp_path):
     assert sorted(rows) == [("l1", "r1"), ("l1", "r2"), ("l2", "r1"), ("l2", "r2")]
 
 
+class _List:
+    def __init__(self):
+        self.rows = []
+
+    def get(self):
+        return iter(self.rows)
+
+    def put(self, rows):
+        self.rows = list(rows)
+
+
+class _Handle:
+    def getListState(self, *_, **__):
+        return _List()
+
+
+def test_stateful_index_forgets_no_record_of_a_hot_key():
+    """More than 1,000 records of one key over several batches, the first ones delivered again."""
+    index, got = streams.PairingIndex(), []
+    index.init(_Handle())
+    left = [(0, f"l{i}") for i in range(1500)]
+    for batch in (left[:800], left[800:], [(1, "r")], [*left[:5], (1, "q")]):
+        frame = pd.DataFrame(batch, columns=["side", "rid"])
+        for out in index.handleInputRows(("k",), iter([frame]), None):
+            got += list(out.itertuples(index=False, name=None))
+    assert sorted(got) == sorted((f"l{i}", r) for i in range(1500) for r in "rq")
+
+
 def test_property_table_grows(spark):
     old = spark.createDataFrame([("a", "p", ["1"])], "s string, p string, values array<string>")
     new = spark.createDataFrame([("a", "p", "2"), ("a", "p", "1"), ("b", "q", "3")], "s string, p string, o string")
