@@ -117,11 +117,10 @@ def test_components_equal_brute_force(spark):
     assert {r.doc_id: (r.fingerprint, r.component_id) for r in rows} == {i: (f"{f:016x}", low[x]) for i, f, x in zip(ids, fps, root)}
 
 
-@pytest.mark.parametrize("tile_rows", [8, 4096])
-def test_tiles_miss_no_link(spark, tile_rows):
-    """Random fingerprints and their neighbours at 0 to 4 bits, in small and in split tiles."""
-    rng = random.Random(2)
-    fps = []
+def planted_fingerprints(seed):
+    """Random fingerprints, chains of neighbours at 0 to 4 bits, and a ball of them."""
+    rng = random.Random(seed)
+    fps = [0, 2**64 - 1, 7]
     for _ in range(60):
         f = rng.getrandbits(64)
         fps.append(f)
@@ -133,9 +132,10 @@ def test_tiles_miss_no_link(spark, tile_rows):
             f = g
     center = rng.getrandbits(64)
     fps += [center ^ (1 << a) ^ (1 << b) for a in range(12) for b in range(a, 12)]
-    fps = list(dict.fromkeys(fps))
-    df = spark.createDataFrame([(int(np.uint64(f).astype(np.int64)),) for f in fps], "fp long")
-    links = simhash.compare_tiles(simhash.tiled(df, tile_rows)).collect()
+    return list(dict.fromkeys(fps))
+
+
+def roots_of(fps, links):
     at = {int(np.uint64(f).astype(np.int64)): i for i, f in enumerate(fps)}
     up = list(range(len(fps)))
 
@@ -147,7 +147,45 @@ def test_tiles_miss_no_link(spark, tile_rows):
     for r in links:
         a, b = find(at[r.a]), find(at[r.b])
         up[max(a, b)] = min(a, b)
-    assert [find(i) for i in range(len(fps))] == classes(fps)
+    return [find(i) for i in range(len(fps))]
+
+
+def as_table(spark, fps):
+    return spark.createDataFrame([(int(np.uint64(f).astype(np.int64)),) for f in fps], "fp long")
+
+
+@pytest.mark.parametrize("tile_rows", [2, 512])
+@pytest.mark.parametrize("banded, parts, radius", [(False, 4, 3), (True, 4, 3), (False, 8, 3), (True, 3, 2), (False, 2, 5)])
+def test_tiles_miss_no_link(spark, monkeypatch, tile_rows, banded, parts, radius):
+    monkeypatch.setattr(simhash, "_FEW", 8 if tile_rows == 512 else 512)
+    fps = planted_fingerprints(2)
+    links = simhash.links(as_table(spark, fps), banded, parts, tile_rows, radius).collect()
+    assert roots_of(fps, links) == classes(fps, radius)
+
+
+def test_tiles_are_skipped_by_population_counts(spark, monkeypatch):
+    """Most pairs are never compared; the pairs of tiles that are, are needed: without neighbours links are lost."""
+    rng = random.Random(4)
+    fps = planted_fingerprints(5) + [rng.getrandbits(64) for _ in range(3000)]
+    counts = lambda f: [(f >> s & 0xFFFF).bit_count() for s in range(0, 64, 16)]
+    tiles = simhash.tiled(as_table(spark, fps)).persist()
+    compared = 0
+    for r in simhash.tile_pairs(tiles).collect():
+        a, b = counts(r.own[0] & (2**64 - 1)), counts(r.other[0] & (2**64 - 1))
+        assert sum(abs(x - y) for x, y in zip(a, b)) <= 3
+        compared += len(r.own) * (len(r.own) - 1) // 2 if r.same else len(r.own) * len(r.other)
+    assert 0 < compared < 0.1 * len(fps) ** 2 / 2
+    monkeypatch.setattr(simhash, "neighbours", lambda parts, radius: [(0,) * parts])
+    assert roots_of(fps, simhash.compare_tiles(simhash.tile_pairs(tiles)).collect()) != classes(fps)
+    tiles.unpersist()
+
+
+def test_bands_and_null_ids(spark):
+    fps = ["a b c d e", "a b c d e", "", None, "x y z"]
+    df = spark.createDataFrame([(None, t) for t in fps] + [(i, t) for i, t in enumerate(fps)], "doc_id long, text string")
+    plain = sorted(map(repr, simhash.near_duplicates(df).collect()))
+    assert plain == sorted(map(repr, simhash.near_duplicates(df, banded_from=0).collect()))
+    assert all(r.component_id is not None for r in simhash.near_duplicates(df).collect())
 
 
 def test_near_drop_on_odd_rows(odd):
