@@ -1,18 +1,22 @@
-"""Best-fit packing of token sequences, in bulk-synchronous sweeps over runs of equal size.
+"""Best-fit packing of token sequences, in bulk-synchronous rounds.
 
 Documents become token ids (the library's, word by word from a cache, which its pre-tokenizer's
-split at blanks allows) and are cut into pieces of at most ``capacity`` tokens. Pieces and gaps are
-whole numbers up to the capacity, so sorting them by size gives at most ``capacity`` runs each, and
-a run is a size with a count. A sweep takes the longest waiting run of pieces, finds for it the
-successor among the runs of gaps (the smallest gap that is not shorter), lets the lower ranks of
-the run have the gaps there are, updates the gaps, and goes on with the ranks left; new sequences
-open only where no gap is long enough. The sweeps see sizes and counts alone, a table that is
-bounded by the capacity whatever the corpus. Rows learn their place from their rank in their run:
-ranks come from a distributed two-level count, never from one task per size.
+split at blanks allows) and are cut into pieces of at most ``capacity`` tokens. Pieces are packed
+band by band, the longest first (``BANDS``). A round range-sorts the pieces of its band and the gaps
+that sequences have left, both as tables of rows; sweeps from long to short over the counts of equal
+sizes and finds for each piece its successor, the smallest gap that is not shorter, opening a
+sequence only where there is none; where many pieces want the same size of gap, their ranks decide
+which gets which one; a join on size and rank then gives every piece its sequence, gaps are less by
+what they took, and the next band repeats this. The result has as many sequences as best-fit decreasing
+one by one would have.
+
+Ranks come from the range-sorted order, so pieces of one size spread over as many tasks as they
+need. What the driver holds is a count per size of piece and of gap (each at most ``capacity``) and
+per sorted partition.
 
 Defined cases: null is the empty text, which has just the end id; special tokens inside texts are
-as the library has them by default; rows may repeat, and each is packed; an empty table gives an
-empty result; further columns are not read.
+as the library has them by default; ids may be null; rows may repeat, and each is packed; an empty
+table gives an empty result; further columns are not read.
 """
 
 from __future__ import annotations
@@ -24,17 +28,20 @@ import zlib
 from array import array
 from bisect import bisect_left, insort
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from dnfblock.storage import materialize
 
 CAPACITY = 2048
 END_ID = 0
+#: A round packs the pieces of up to one of these parts of the capacity that are longer than the next.
+BANDS = (2, 4, 8)
+NEW = -1
 _CACHE_WORDS = 400_000
 _BLANKS = " \t\n\x0b\f\r"
 #: Words of printable ASCII and Latin letters: these have one normal form and lower-case by character.
@@ -139,77 +146,114 @@ def pieces(
     return rows.mapInArrow(run, schema)
 
 
-def sweep(runs: dict[int, int], capacity: int = CAPACITY) -> list[tuple[int, int, int, int, int]]:
-    """Places for runs {size: count}: ``(size, first_rank, last_rank, first_sequence, offset)``.
+def sweep(
+    runs: dict[int, int], gaps: dict[int, int], opened: int = 0, capacity: int = CAPACITY
+) -> tuple[list[tuple[int, int, int, int, int, int, int]], int]:
+    """Places for runs {size: count} in gaps {gap: count}, and how many sequences are open then.
 
-    The piece of rank r in its run goes to sequence ``first_sequence + r - first_rank``.
+    Rows are ``(size, rank, rank_end, gap, first, each, offset)``: the piece of rank r goes to the gap of rank
+    ``first + (r - rank) // each`` among those of size ``gap`` (``NEW``: to the sequence of that number), as
+    the ``(r - rank) % each``-th behind ``offset``.
     """
-    places: list[tuple[int, int, int, int, int]] = []
-    gaps: dict[int, list[tuple[int, int]]] = {}  # gap: [(first sequence, how many)]
-    sizes: list[int] = []  # the gaps there are, sorted
-    opened = 0
-
-    def put(gap: int, first: int, many: int) -> None:
-        if gap not in gaps:
-            gaps[gap] = []
-            insort(sizes, gap)
-        gaps[gap].append((first, many))
-
+    places: list[tuple[int, int, int, int, int, int, int]] = []
+    free: dict[int, list[tuple[int, int, int]]] = {}  # what is left: (gap at first, first rank, how many)
+    sizes: list[int] = []  # the keys of free, sorted
+
+    def put(left: int, gap: int, first: int, many: int) -> None:
+        if left and many:
+            if left not in free:
+                free[left] = []
+                insort(sizes, left)
+            free[left].append((gap, first, many))
+
+    for gap, many in gaps.items():
+        put(gap, gap, 0, many)
     for size in sorted(runs, reverse=True):
         rank, waiting = 0, runs[size]
         while waiting:
             at = bisect_left(sizes, size)
             if at < len(sizes):
-                gap = sizes[at]
-                first, many = gaps[gap].pop()
-                if not gaps[gap]:
-                    del gaps[gap], sizes[at]
-                taken = min(many, waiting)
-                if taken < many:
-                    put(gap, first + taken, many - taken)
+                left = sizes[at]
+                gap, first, many = free[left].pop()
+                if not free[left]:
+                    del free[left], sizes[at]
             else:
-                # open no more sequences than the run fills at this size
-                gap, first, taken = capacity, opened, -(-waiting // (capacity // size))
-                opened += taken
-            places.append((size, rank, rank + taken, first, capacity - gap))
+                left, gap, first, many = capacity, NEW, opened, -(-waiting // (capacity // size))
+                opened += many
+            each = left // size
+            taken = min(waiting, many * each)
+            full, rest = divmod(taken, each)
+            places.append((size, rank, rank + taken, gap, first, each, capacity - left))
+            put(left - each * size, gap, first, full)
+            put(left - rest * size, gap, first + full, int(rest > 0))
+            put(left, gap, first + full + (rest > 0), many - full - (rest > 0))
             rank, waiting = rank + taken, waiting - taken
-            if gap > size:
-                put(gap - size, first, taken)
-    return places
-
-
-def best_fit(items: DataFrame, capacity: int = CAPACITY, rows_per_bucket: int = 20_000) -> DataFrame:
-    """``items`` (with ``row_id, piece, length``) and ``sequence_id, offset``.
-
-    Call it on a written table: it is read twice, and ``row_id`` must not change between.
+    return places, opened
+
+
+def ranked(rows: DataFrame, size: str, *ids: str) -> tuple[DataFrame, dict[int, int]]:
+    """``rows``, range-sorted by ``size``, with their ``rank`` (from 0) among equal sizes; and {size: count}."""
+    spark = rows.sparkSession
+    order = [F.col(size), F.xxhash64(*ids), *(F.col(c) for c in ids)]
+    rows = rows.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("__at", F.monotonically_increasing_id())
+    rows = materialize(rows, "range-sorted")
+    part = F.shiftrightunsigned("__at", 33)  # the sorted partition, by the layout of these numbers
+    heads = rows.groupBy(part.alias("part"), F.col(size).alias("key")).agg(F.min("__at").alias("head"), F.count("*").alias("n")).toPandas()
+    heads = heads.sort_values(["key", "part"], kind="stable")
+    heads["shift"] = heads.groupby("key")["n"].cumsum() - heads["n"] - heads["head"]
+    table = pa.Table.from_pandas(heads[["part", "key", "shift"]].astype("int64"), preserve_index=False)
+    shifts = spark.createDataFrame(table)
+    out = rows.join(F.broadcast(shifts), (part == shifts["part"]) & (F.col(size) == shifts["key"]))
+    out = out.withColumn("rank", F.col("__at") + F.col("shift")).drop("__at", "part", "key", "shift")
+    return out, {int(k): int(n) for k, n in heads.groupby("key")["n"].sum().items()}
+
+
+def best_fit(items: DataFrame, capacity: int = CAPACITY, bands: tuple[int, ...] = BANDS) -> DataFrame:
+    """``row_id, piece, sequence_id, offset`` of every row of ``items`` (``row_id, piece, length``).
+
+    Call it on a written table: ``row_id`` must not change between reads.
     """
     spark = items.sparkSession
-    runs = {r["length"]: r["n"] for r in items.groupBy("length").agg(F.count("*").alias("n")).collect()}
-    fan = max(1, -(-max(runs.values(), default=1) // rows_per_bucket))
-    bucket = F.pmod(F.xxhash64("row_id", "piece"), F.lit(fan)).alias("bucket")
-    items = items.select("*", bucket)
-    counts = items.groupBy("length", "bucket").agg(F.count("*").alias("n"))
-    before = F.sum("n").over(Window.partitionBy("length").orderBy("bucket")) - F.col("n")
-    counts = counts.select("length", "bucket", before.alias("before"))
-    inside = F.row_number().over(Window.partitionBy("length", "bucket").orderBy("row_id", "piece"))
-    ranked = items.withColumn("inside", inside).join(counts, ["length", "bucket"])
-    ranked = ranked.withColumn("rank", F.col("before") + F.col("inside") - 1)
-    names = ["length", "first_rank", "last_rank", "first_sequence", "offset"]
-    table = pa.table([pa.array(c, pa.int64()) for c in zip(*sweep(runs, capacity))] or [pa.array([], pa.int64())] * 5, names)
-    places = spark.createDataFrame(table).withColumnRenamed("length", "size")
-    # at most a few ranges per pair of sizes, whatever the corpus; beyond a size check Spark decides
-    places = F.broadcast(places) if table.nbytes <= 32 << 20 else places
-    fits = (F.col("length") == F.col("size")) & (F.col("rank") >= F.col("first_rank")) & (F.col("rank") < F.col("last_rank"))
-    return ranked.join(places, fits).withColumn(
-        "sequence_id", F.col("first_sequence") + F.col("rank") - F.col("first_rank")
-    )
+    waiting, counts = ranked(items.select("row_id", "piece", "length"), "length", "row_id", "piece")
+    names = ["size", "from", "to", "gap", "first", "each", "offset"]
+    gaps, opened, done = spark.createDataFrame([], "sequence_id long, gap long"), 0, []
+    edges = [capacity, *(capacity // b for b in bands), 0]
+    for high, low in zip(edges, edges[1:]):
+        runs = {s: n for s, n in counts.items() if low < s <= high}
+        if not runs:
+            continue
+        before = opened
+        open_, left = ranked(gaps, "gap", "sequence_id") if before else (gaps.withColumn("rank", F.lit(0)), {})
+        places, opened = sweep(runs, left, opened, capacity)
+        table = spark.createDataFrame(pa.table([pa.array(c, pa.int64()) for c in zip(*places)], names))
+        nth = F.col("rank") - F.col("from")
+        wanted = waiting.where(F.col("length").between(low + 1, high)).join(
+            F.broadcast(table), (F.col("length") == F.col("size")) & (F.col("rank") >= F.col("from")) & (F.col("rank") < F.col("to"))
+        )
+        wanted = wanted.select(
+            "row_id", "piece", "length", "gap",
+            (F.col("first") + F.floor(nth / F.col("each"))).alias("rank"),
+            (F.col("offset") + nth % F.col("each") * F.col("length")).alias("offset"),
+        )
+        new = wanted.where(F.col("gap") == NEW).withColumn("sequence_id", F.col("rank")).drop("gap", "rank")
+        found = wanted.where(F.col("gap") != NEW).join(open_, ["gap", "rank"]).drop("gap", "rank")
+        placed = materialize(new.unionByName(found), "placed")
+        done.append(placed.select("row_id", "piece", "sequence_id", "offset"))
+        if low:
+            used = placed.groupBy("sequence_id").agg(F.sum("length").alias("used"))
+            room = gaps.unionByName(spark.range(before, opened).select(F.col("id").alias("sequence_id"), F.lit(capacity).cast("long").alias("gap")))
+            rest = room.join(used, "sequence_id", "left").select("sequence_id", (F.col("gap") - F.coalesce("used", F.lit(0))).alias("gap"))
+            gaps = materialize(rest.where("gap > 0"), "gaps")
+    if not done:
+        return items.limit(0).select("row_id", "piece", F.lit(0).cast("long").alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
+    return reduce(DataFrame.unionByName, done)
 
 
 def pack(
     docs: DataFrame, name: str = "word_bpe_49k.json", id_col: str = "doc_id", text_col: str = "text",
-    capacity: int = CAPACITY, keep_ids: bool = False,
+    capacity: int = CAPACITY, keep_ids: bool = False, bands: tuple[int, ...] = BANDS,
 ) -> DataFrame:
     """``doc_id, piece, start, length, ids_crc32, sequence_id, offset`` of every piece of ``docs``."""
     cut = materialize(pieces(docs, name, id_col, text_col, capacity, keep_ids=keep_ids), "pieces")
     columns = ["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset", *["ids"] * keep_ids]
-    return best_fit(cut, capacity).select(*columns)
+    return cut.join(best_fit(cut, capacity, bands), ["row_id", "piece"]).select(*columns)

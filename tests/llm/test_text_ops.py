@@ -10,6 +10,7 @@ import numpy as np
 import public_tokenizers
 import pytest
 import sentencepiece
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from dnfblock.llm import mixing, packing, secrets, tokens
@@ -59,6 +60,7 @@ def test_pieces_equal_library(docs):
 
 
 def check_packed(rows, capacity):
+    """The number of sequences; every one is gapless from 0 and not too long."""
     by = {}
     for r in rows:
         by.setdefault(r.sequence_id, []).append((r.offset, r.length))
@@ -71,15 +73,6 @@ def check_packed(rows, capacity):
     return len(by)
 
 
-def test_pack_fills_sequences(spark, docs):
-    rows = packing.pack(docs, capacity=64).collect()
-    n = check_packed(rows, 64)
-    assert n <= math.ceil(sum(r.length for r in rows) / 64) + 2
-    assert packing.pack(docs.limit(0)).count() == 0
-    twice = packing.pack(docs.unionByName(docs), capacity=64).collect()
-    assert len(twice) == 2 * len(rows) and check_packed(twice, 64)
-
-
 def best_fit_decreasing(sizes, capacity):
     gaps = []
     for s in sorted(sizes, reverse=True):
@@ -93,27 +86,79 @@ def best_fit_decreasing(sizes, capacity):
     return len(gaps)
 
 
-@pytest.mark.parametrize("seed", range(20))
-def test_sweep_is_as_good_as_best_fit(seed):
+def test_pack_fills_sequences(spark, docs):
+    rows = packing.pack(docs, capacity=64).collect()
+    assert check_packed(rows, 64) == best_fit_decreasing([r.length for r in rows], 64)
+    assert packing.pack(docs.limit(0)).count() == 0
+    twice = packing.pack(docs.unionByName(docs), capacity=64).collect()
+    assert len(twice) == 2 * len(rows) and check_packed(twice, 64) == best_fit_decreasing([r.length for r in twice], 64)
+    nameless = spark.createDataFrame([(None, "a b"), (None, "a b"), (3, None)], "doc_id long, text string")
+    assert sorted((r.doc_id or 0, r.length) for r in packing.pack(nameless).collect()) == [(0, 3), (0, 3), (3, 1)]
+
+
+@pytest.mark.parametrize("seed", range(200))
+def test_sweep_equals_best_fit_decreasing(seed):
+    """In one band or in several, with the gaps of each carried to the next: exactly as many sequences."""
     rng = random.Random(seed)
     sizes = [rng.choice([rng.randint(1, 100), 50, 33, 7]) for _ in range(rng.randint(1, 400))]
-    runs = {s: sizes.count(s) for s in set(sizes)}
-    places = packing.sweep(runs, 100)
-    used, total = {}, {s: 0 for s in runs}
-    for size, lo, hi, first, offset in places:
-        assert lo == total[size]
-        total[size] += hi - lo
-        for k in range(hi - lo):
-            used.setdefault(first + k, []).append((offset, size))
-    assert total == runs
+    edges = [100, *sorted(rng.sample(range(1, 100), rng.randrange(4)), reverse=True), 0]
+    used, opened = {}, 0
+    for high, low in zip(edges, edges[1:]):
+        gaps = {}
+        for q in range(opened):
+            left = 100 - sum(s for _, s in used.get(q, []))
+            if left:
+                gaps.setdefault(left, []).append(q)
+        runs = {s: sizes.count(s) for s in set(sizes) if low < s <= high}
+        places, opened = packing.sweep(runs, {g: len(q) for g, q in gaps.items()}, opened, 100)
+        total = dict.fromkeys(runs, 0)
+        for size, lo, hi, gap, first, each, offset in places:
+            assert lo == total[size]
+            total[size] = hi
+            for k in range(hi - lo):
+                at = first + k // each
+                used.setdefault(at if gap == packing.NEW else gaps[gap][at], []).append((offset + k % each * size, size))
+        assert total == runs
     for parts in used.values():
         at = 0
         for offset, size in sorted(parts):
             assert offset == at
             at += size
         assert at <= 100
-    assert len(used) <= best_fit_decreasing(sizes, 100) + 1
-    assert packing.sweep({}, 100) == []
+    assert len(used) == opened == best_fit_decreasing(sizes, 100)
+
+
+def test_rounds_equal_best_fit_decreasing(spark):
+    """Rows through the tables of every round; a third of all rows has one size."""
+    rng = random.Random(6)
+    sizes = [rng.choice([rng.randint(1, 100), rng.randint(1, 30), 11]) for _ in range(1500)]
+    df = spark.createDataFrame([(i, 0, s) for i, s in enumerate(sizes)], "row_id long, piece int, length long").repartition(5)
+    want = best_fit_decreasing(sizes, 100)
+    for bands in ((2, 4, 8), (), (3,)):
+        rows = packing.best_fit(df, 100, bands).join(df, ["row_id", "piece"]).collect()
+        assert len(rows) == len(sizes) and check_packed(rows, 100) == want
+    full = spark.createDataFrame([(i, 0, s) for i, s in enumerate([600] * 7 + [2048] * 3)], "row_id long, piece int, length long")
+    loads = sorted(r["n"] for r in packing.best_fit(full).groupBy("sequence_id").agg(F.count("*").alias("n")).collect())
+    assert loads == [1, 1, 1, 1, 3, 3] and packing.best_fit(full.limit(0)).count() == 0
+
+
+def test_rounds_need_their_successors(spark, monkeypatch):
+    """With the largest gap in place of the successor, more sequences are opened."""
+    rng = random.Random(8)
+    sizes = [rng.randint(1, 70) for _ in range(400)]
+    df = spark.createDataFrame([(i, 0, s) for i, s in enumerate(sizes)], "row_id long, piece int, length long")
+    best = packing.best_fit(df, 100).select("sequence_id").distinct().count()
+    monkeypatch.setattr(packing, "bisect_left", lambda sizes, size: len(sizes) - 1 if sizes and sizes[-1] >= size else len(sizes))
+    assert best == best_fit_decreasing(sizes, 100) < packing.best_fit(df, 100).select("sequence_id").distinct().count()
+
+
+def test_ranks_come_from_the_range_sort(spark):
+    df = spark.range(1000).select("id", (F.col("id") % 3 + F.when(F.col("id") < 700, 0).otherwise(5)).alias("size")).repartition(7)
+    rows, counts = packing.ranked(df, "size", "id")
+    by = {}
+    for r in rows.collect():
+        by.setdefault(r["size"], []).append(r["rank"])
+    assert all(sorted(v) == list(range(len(v))) for v in by.values()) and counts == {k: len(v) for k, v in by.items()}
 
 
 def test_targets_reshare():
