@@ -1,26 +1,33 @@
 """Mixing sources to target weights by a multivariate-hypergeometric splitting tree.
 
 Documents fall into blocks of their source by a hash of their id. A source with a target of t words
-and z words of its own is drawn t/z times: whole epochs, then blocks in the order of a permutation
-that fit the target, then single documents of the blocks that did not. A block that does not fit is
-passed over and pooled; blocks are drawn until ``POOL`` are pooled and their documents that fit what is
-still wanted cover it. Where an epoch ends before that (long documents), the next one goes on.
-A source thus misses its target by less than the shortest document that its pool leaves, or by less
-than any that it could still take. The draws of all sources are the balls of an urn; a tree over the output shards splits the exact block quotas in two again and again, each time
-by a multivariate hypergeometric draw, and its leaves say how many consecutive draws of every
-source a shard gets. Draws of a shard are therefore disjoint from those of any other. Inside a
-shard, documents stand in the order of a hash.
-
-The driver holds one row per source and one per block and power of two of document sizes, and blocks
-are a fixed number (``blocks``) plus one per source. Rows of a hot source are spread over its blocks.
+and z words of its own gives t/z times its blocks: whole epochs, then those blocks of a permutation
+that fit what is still wanted. A block that does not fit is passed over and pooled; blocks are tried
+until ``POOL`` are pooled and their documents that fit cover the rest. Pooled blocks are split into
+smaller ones by another hash, which are tried in the same way, until at most ``POOL_ROWS`` documents
+are left to choose from; these are taken one by one as far as they fit. A source thus misses its
+target by less than the shortest document that its pool leaves, or by less than any that it could
+still take.
+
+How many blocks every source gives are the exact quotas, the balls of an urn. A tree over the output shards
+splits them in two again and again, each time by a multivariate hypergeometric draw; its leaves say
+how many blocks of every source a shard gets, and a shard draws that many from where the shard
+before it stopped in a permutation of the source's blocks. Draws of shards are disjoint, and what a
+document gives to the mix is the sum of what the shards drew of it. Inside a shard, documents stand
+in the order of a hash.
+
+The driver holds one row per source and one per block and power of two of document sizes; blocks are
+a fixed number (``blocks``) plus one per source, and so are those that pooled ones are split into.
+Rows of a hot source are spread over its blocks.
 
 Defined cases: null text has size 0 and a document of size 0 adds nothing; a null source is a source
-of its own, last in order; repeated rows are drawn like others; an empty table gives an empty
-result; further columns are kept by :func:`mix` and not read by :func:`decide`.
+of its own, last in order; null ids fall in one block; repeated rows are drawn like others; an empty
+table gives an empty result; further columns are kept by :func:`mix` and not read by :func:`decide`.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterable
 from dataclasses import dataclass
 
 import numpy as np
@@ -35,8 +42,11 @@ MAX_EPOCHS = 3
 BLOCKS = 1 << 14
 LEAST_BLOCK = 4096
 POOL = 8
-SHARD_WORDS = 50_000_000
-MOST_SHARDS = 4096
+POOL_ROWS = 8192
+SPLIT_ROWS = 512
+LEVELS = 4
+SHARD_WORDS = 1 << 20
+LEAST_SHARDS, MOST_SHARDS = 16, 4096
 
 
 def n_words(text: Column) -> Column:
@@ -91,33 +101,35 @@ def splitting_tree(quotas: np.ndarray, shards: int, seed: int = SEED) -> np.ndar
 
 @dataclass
 class MixPlan:
-    """What the driver decides: sources, their targets, and the draws of blocks."""
+    """What the driver decides: sources and their targets, and what each shard draws."""
 
-    sources: pd.DataFrame  # source, rank, n_blocks, size, target
-    draws: pd.DataFrame  # rank, block, epoch, shard, wanted (words that the pooled blocks give together, else -1)
+    sources: pd.DataFrame  # source, rank, size, target
+    fans: list[list[int]]  # by level and rank: how many blocks a source, or a pooled block of the level before, has
+    draws: list[pd.DataFrame]  # by level: rank, block, epoch, shard, wanted (words that the pooled blocks give together, else -1)
     shards: int
 
 
-def _blocked(docs: DataFrame, plan_sources: pd.DataFrame, seed: int) -> DataFrame:
-    """``docs`` with ``__rank, __block, __source_size, __target``; docs has ``__id, __source``."""
+def _blocked(docs: DataFrame, sources: pd.DataFrame, fans: list[list[int]], seed: int) -> DataFrame:
+    """``docs`` with ``__rank, __source_size, __target`` and a ``__block`` per level; docs has ``__id, __source``."""
     spark = docs.sparkSession
-    table = spark.createDataFrame(
-        [(r.source, int(r.rank), int(r.n_blocks), int(r.size), float(r.target)) for r in plan_sources.itertuples()],
-        "__src string, __rank int, __n_blocks long, __source_size long, __target double",
-    )
-    joined = docs.join(F.broadcast(table), docs["__source"].eqNullSafe(table["__src"]))
-    block = F.pmod(F.xxhash64(F.col("__id"), F.lit(seed)), F.col("__n_blocks"))
-    return joined.withColumn("__block", block).drop("__src", "__n_blocks")
-
-
-def _kinds(blocked: DataFrame) -> dict[int, dict[int, np.ndarray]]:
-    """Per rank and block, rows (words, shortest, longest) of its documents by the power of two of their size."""
+    rows = [(r.source, int(r.rank), int(r.size), float(r.target), [int(f[r.rank]) for f in fans]) for r in sources.itertuples()]
+    table = spark.createDataFrame(rows, "__src string, __rank int, __source_size long, __target double, __fans array<long>")
+    out = docs.join(F.broadcast(table), docs["__source"].eqNullSafe(table["__src"]))
+    for level in range(len(fans)):
+        fan = F.col("__fans")[level]
+        own = F.pmod(F.xxhash64(F.col("__id"), F.lit(seed + 1000 * level)), fan)
+        out = out.withColumn(f"__block{level}", F.col(f"__block{level - 1}") * fan + own if level else own)
+    return out.drop("__src", "__fans")
+
+
+def _kinds(blocked: DataFrame, block: str) -> dict[int, dict[int, np.ndarray]]:
+    """Per rank and block, rows (words, shortest, longest, how many) of its documents by the power of two of their size."""
     kind = F.length(F.bin("__size"))
-    found = blocked.groupBy("__rank", "__block", kind.alias("kind")).agg(
-        F.sum("__size").alias("n"), F.min("__size").alias("low"), F.max("__size").alias("high")
+    found = blocked.groupBy("__rank", block, kind.alias("kind")).agg(
+        F.sum("__size").alias("n"), F.min("__size").alias("low"), F.max("__size").alias("high"), F.count("*").alias("many")
     )
     table = np.stack([c.to_numpy() for c in found.drop("kind").toArrow().columns], axis=1).astype(np.int64)
-    table = table[np.lexsort((table[:, 1], table[:, 0]))]
+    table = table[np.lexsort((table[:, 2], table[:, 1], table[:, 0]))]
     out: dict[int, dict[int, np.ndarray]] = {}
     starts = np.flatnonzero(np.any(np.diff(table[:, :2], axis=0, prepend=-1), axis=1))
     for rows in np.split(table, starts[1:]):
@@ -128,29 +140,63 @@ def _kinds(blocked: DataFrame) -> dict[int, dict[int, np.ndarray]]:
 
 def covered(kinds: np.ndarray, left: float) -> int:
     """Words, at least, of documents that are no longer than ``left``."""
-    words, low, high = kinds.T
+    words, low, high, _ = kinds.T
     return int(words[high <= left].sum() + low[(low <= left) & (left < high)].sum())
 
 
-def draw(target: float, n_blocks: int, kinds: dict[int, np.ndarray], seed: list[int]) -> tuple[list, list, float]:
-    """``(epoch, block)`` drawn whole, those pooled for single documents, and the words wanted of the pool."""
-    left, whole, pooled, pool = target, [], [], np.empty((0, 3), np.int64)
-    for epoch in range(MAX_EPOCHS):
-        for block in np.random.default_rng([*seed, epoch]).permutation(n_blocks).tolist():
+def choose(target: float, tries: Iterable[list[tuple[int, int]]], kinds: dict[int, np.ndarray]) -> tuple[list, list, float]:
+    """``(epoch, block)`` given whole, those pooled, and the words wanted of the pool; ``tries`` are epochs in order."""
+    left, whole, pooled, pool = target, [], [], np.empty((0, 4), np.int64)
+    for epoch in tries:
+        for ball in epoch:
             if left < 0.5 or (len(pooled) >= POOL and covered(pool, left) >= left):
                 break
-            if block not in kinds:
+            if ball[1] not in kinds:
                 continue
-            words = int(kinds[block][:, 0].sum())
+            words = int(kinds[ball[1]][:, 0].sum())
             if words <= left + 1e-6:
-                whole.append((epoch, block))
+                whole.append(ball)
                 left -= words
             else:
-                pooled.append((epoch, block))
-                pool = np.concatenate((pool, kinds[block]))
+                pooled.append(ball)
+                pool = np.concatenate((pool, kinds[ball[1]]))
         if left < 0.5 or covered(pool, left) >= left:
             break
-    return whole, [(e, b) for e, b in pooled if covered(kinds[b], left)] if left >= 0.5 else [], left
+    return whole, [x for x in pooled if covered(kinds[x[1]], left)] if left >= 0.5 else [], left
+
+
+def _quotas(sized: DataFrame, sources: pd.DataFrame, n_blocks: list[int], blocks: int, seed: int) -> tuple[list[list[int]], list[list[tuple]]]:
+    """Fans by level, and for each source the balls ``(level, epoch, block, wanted)`` that it gives."""
+    fans, order = [n_blocks], range(len(sources))
+    kinds = _kinds(_blocked(sized, sources, fans, seed), "__block0")
+    left = dict(zip(order, sources["target"].tolist()))
+    rng = lambda *x: np.random.default_rng([seed, *x])
+    tries = {s: [[(e, b) for b in rng(s, e).permutation(n_blocks[s]).tolist()] for e in range(MAX_EPOCHS)] for s in order}
+    balls: list[list[tuple]] = [[] for _ in order]
+    for level in range(LEVELS):
+        fan, pools = [1] * len(sources), {}
+        for s in sorted(tries):
+            known = kinds.get(s, {})
+            whole, pooled, left[s] = choose(left[s], tries[s], known)
+            balls[s] += [(level, e, b, -1.0) for e, b in whole]
+            many = {b: int(known[b][known[b][:, 1] <= left[s], 3].sum()) for _, b in pooled}
+            if sum(many[b] for _, b in pooled) <= POOL_ROWS or level == LEVELS - 1:
+                balls[s] += [(level, e, b, left[s]) for e, b in pooled]
+            else:
+                pools[s] = pooled
+                fan[s] = min(-(-max(many.values()) // SPLIT_ROWS), max(2, blocks // len(many)))
+        if not pools:
+            break
+        fans.append(fan)
+        chosen = sized.sparkSession.createDataFrame([(s, b) for s in pools for b in {b for _, b in pools[s]}], "r int, b long")
+        rows = _blocked(sized, sources, fans, seed)
+        here = (F.col("__rank") == chosen["r"]) & (F.col(f"__block{level}") == chosen["b"])
+        kinds = _kinds(rows.join(F.broadcast(chosen), here, "left_semi"), f"__block{level + 1}")
+        tries = {}
+        for s, pooled in pools.items():
+            units = [(e, b * fan[s] + k) for e, b in pooled for k in range(fan[s])]
+            tries[s] = [[units[i] for i in rng(s, MAX_EPOCHS + level).permutation(len(units)).tolist()]]
+    return fans, balls
 
 
 def plan(
@@ -165,40 +211,44 @@ def plan(
     total = sum(sizes)
     block_words = max(LEAST_BLOCK, -(-total // blocks))
     n_blocks = [max(1, min(known[s][1], n // block_words)) for s, n in zip(order, sizes)]
-    sources = pd.DataFrame({"source": order, "rank": range(len(order)), "n_blocks": n_blocks, "size": sizes, "target": share})
-    kinds = _kinds(_blocked(sized, sources, seed))
-    draws: list[tuple] = []
-    quotas = np.zeros(len(order), np.int64)
-    for s in range(len(order)):
-        whole, pooled, left = draw(share[s], n_blocks[s], kinds.get(s, {}), [seed, s])
-        drawn = [(e, b, -1.0) for e, b in whole] + [(e, b, left) for e, b in pooled]
-        draws += [(s, b, e, at, w) for at, (e, b, w) in enumerate(drawn)]
-        quotas[s] = len(drawn)
-    shards = int(min(MOST_SHARDS, max(1, -(-total // shard_words))))
-    ends = splitting_tree(quotas, shards, seed).cumsum(axis=0)
-    rows = [(s, b, e, int(np.searchsorted(ends[:, s], at, side="right")), w) for s, b, e, at, w in draws]
-    return MixPlan(sources, pd.DataFrame(rows, columns=["rank", "block", "epoch", "shard", "wanted"]), shards)
+    sources = pd.DataFrame({"source": order, "rank": range(len(order)), "size": sizes, "target": share})
+    fans, balls = _quotas(sized, sources, n_blocks, blocks, seed)
+    shards = int(min(MOST_SHARDS, max(LEAST_SHARDS, -(-total // shard_words))))
+    leaves = splitting_tree(np.array([len(x) for x in balls], np.int64), shards, seed)
+    draws: list[list[tuple]] = [[] for _ in fans]
+    for s, own in enumerate(balls):
+        urn = np.random.default_rng([seed, s, MAX_EPOCHS + LEVELS]).permutation(len(own)).tolist()
+        ends = leaves[:, s].cumsum().tolist()
+        for shard, (lo, hi) in enumerate(zip([0, *ends], ends)):
+            for i in urn[lo:hi]:
+                level, epoch, block, wanted = own[i]
+                draws[level].append((s, block, epoch, shard, wanted))
+    columns = ["rank", "block", "epoch", "shard", "wanted"]
+    return MixPlan(sources, fans, [pd.DataFrame(x, columns=columns) for x in draws], shards)
 
 
 def _drawn(docs: DataFrame, made: MixPlan, seed: int) -> DataFrame:
-    """``docs`` with ``__draws``, the draws of its block: array of (epoch, shard, wanted), maybe empty."""
+    """``docs`` with ``__draws``, what shards drew of its blocks: array of (epoch, shard, wanted), maybe empty."""
     spark = docs.sparkSession
     kind = "array<struct<epoch:int,shard:int,wanted:double>>"
-    rows = [
-        (int(s), int(b), [(int(e), int(h), float(w)) for e, h, w in zip(g.epoch, g.shard, g.wanted)])
-        for (s, b), g in made.draws.groupby(["rank", "block"])
-    ]
-    table = spark.createDataFrame(rows, f"__r int, __b long, __draws {kind}")
-    out = _blocked(docs, made.sources, seed)
-    out = out.join(F.broadcast(table), (out["__rank"] == table["__r"]) & (out["__block"] == table["__b"]), "left")
-    return out.drop("__r", "__b").withColumn("__draws", F.coalesce("__draws", F.array().cast(kind)))
+    out, parts = _blocked(docs, made.sources, made.fans, seed), []
+    for level, draws in enumerate(made.draws):
+        rows = [
+            (int(s), int(b), [(int(e), int(h), float(w)) for e, h, w in zip(g.epoch, g.shard, g.wanted)])
+            for (s, b), g in draws.groupby(["rank", "block"])
+        ]
+        table = spark.createDataFrame(rows, f"__r int, __b long, __draws{level} {kind}")
+        out = out.join(F.broadcast(table), (out["__rank"] == table["__r"]) & (out[f"__block{level}"] == table["__b"]), "left")
+        out = out.drop("__r", "__b")
+        parts.append(F.coalesce(f"__draws{level}", F.array().cast(kind)))
+    return out.withColumn("__draws", F.concat(*parts)).drop(*(f"__{x}{i}" for x in ("draws", "block") for i in range(len(parts))))
 
 
 def _picked(blocked: DataFrame, seed: int) -> DataFrame:
     """``__rank, __id, __size, __nth, __epochs`` of the documents that pooled blocks give, in hash order as far as they fit.
 
-    A source's documents that can fit are a bounded group. One that is longer than what is still
-    wanted is passed over.
+    A source's documents that can fit are some ``POOL_ROWS`` at most, as pooled blocks were split until
+    then. One that is longer than what is still wanted is passed over.
     """
 
     def take(rows: pd.DataFrame) -> pd.DataFrame:
@@ -251,19 +301,28 @@ def _sized(docs: DataFrame, id_col: str, text_col: str, source_col: str) -> Data
     )
 
 
+def _order(copy: Column, seed: int) -> Column:
+    return F.xxhash64("__id", copy["epoch"], copy["shard"], F.lit(seed + 2))
+
+
 def decide(
     docs: DataFrame, weights=(1, 2, 3), seed: int = SEED, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source"
 ) -> DataFrame:
-    """``doc_id, size, source_size, target, taken, copies`` per document; no text is moved."""
+    """``doc_id, size, source_size, target, taken, copies`` per document; no text is moved.
+
+    ``copies`` has, for each time the document is taken, the epoch, the shard that drew it and its place in
+    the order of that shard.
+    """
     sized = materialize(_sized(docs, id_col, text_col, source_col), "sizes")
     out = _copies(sized, plan(sized, weights, seed), seed)
+    copies = F.transform("__copies", lambda c: F.struct(c["epoch"].alias("epoch"), c["shard"].alias("shard"), _order(c, seed).alias("place")))
     return out.select(
         F.col("__id").alias("doc_id"),
         F.col("__size").alias("size"),
         F.col("__source_size").alias("source_size"),
         F.col("__target").alias("target"),
         (F.col("__size") * F.size("__copies")).alias("taken"),
-        F.col("__copies").alias("copies"),
+        F.array_sort(copies).alias("copies"),
     )
 
 
@@ -271,10 +330,9 @@ def mix(
     docs: DataFrame, weights=(1, 2, 3), seed: int = SEED, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source",
     placed: bool = False,
 ) -> DataFrame:
-    """The rows of the mix, a document once for each time it is taken, columns as in ``docs``.
+    """The rows of the mix, a document once for each time it is taken, shard by shard, each shard shuffled.
 
-    ``placed`` adds ``mix_shard`` and ``mix_order``; rows of a shard sorted by ``mix_order`` are its
-    shuffled output. Only documents of last blocks are moved, the rest is drawn where it is read.
+    Columns are as in ``docs``; ``placed`` adds ``mix_shard`` and ``mix_order``, by which the rows are range-sorted.
     """
     sized = materialize(_sized(docs, id_col, text_col, source_col), "sizes")
     made = plan(sized, weights, seed)
@@ -282,9 +340,8 @@ def mix(
     tagged = docs.select(
         row, docs[id_col].cast("long").alias("__id"), docs[source_col].alias("__source"), n_words(docs[text_col]).alias("__size")
     )
-    out = _copies(tagged, made, seed).withColumn("__copy", F.explode("__copies"))
+    out = _copies(tagged, made, seed).select("__row", "__id", F.explode("__copies").alias("__copy"))
+    out = out.select("__row", F.col("__copy.shard").alias("mix_shard"), _order(F.col("__copy"), seed).alias("mix_order"))
+    out = out.repartitionByRange("mix_shard", "mix_order").sortWithinPartitions("mix_shard", "mix_order")
     columns = [F.col(f"__row.`{c}`").alias(c) for c in docs.columns]
-    if placed:
-        order = F.xxhash64("__id", "__copy.epoch", "__copy.shard", F.lit(seed + 2))
-        columns += [F.col("__copy.shard").alias("mix_shard"), order.alias("mix_order")]
-    return out.select(*columns)
+    return out.select(*columns, *["mix_shard", "mix_order"] * placed)

@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 from dnfblock.llm import exact_dedup, media, mixing, packing, quality, secrets, simhash, tokens, toxicity, warc
@@ -21,7 +22,8 @@ def op1_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = mixing.decide(table(spark, sf_dir, "documents"))
-    return found.select("doc_id", "size", "source_size", "target", "taken")
+    shards, places = (F.col("copies")[x].alias(f"{x}s") for x in ("shard", "place"))
+    return found.select("doc_id", "size", "source_size", "target", "taken", shards, places)
 
 
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
