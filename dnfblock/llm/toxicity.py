@@ -1,22 +1,26 @@
 """Toxicity: a logistic classifier with counterfactual regularisation.
 
 Features are the words of a text and their leading characters (presence, not counts). The fit
-minimises logistic loss, an L2 term, and a counterfactual term: each labelled text that names a
-group is paired with its copies in which the name is swapped for that of another group, and squared
-differences of the two scores are penalised. A text that merely names a group then scores as it
-would without the name. Scoring reads whole texts; it holds the chosen features (at most
-``features``) and nothing of the corpus.
+minimises logistic loss, an L2 term, and a counterfactual term over pairs of texts that differ in a
+group's name only: squared differences of the two scores, and of their logits, are penalised. A
+labelled text that names a group is paired with its copies in which the name is swapped for others of
+its kind. A text that names none gets a neutral mention: one name, chosen by a hash of the text,
+is put into it; that sentence keeps its label, joins the loss, and is paired with the text as it was and
+with the same sentence about another group. A text that merely names a group then scores as it would
+without the name. Scoring reads whole texts; it holds the chosen features (at most ``features``) and
+nothing of the corpus.
 
 Defined cases: null and empty texts get the score of a text without features; a table without
 usable labels, or with one class only, gives every row the class share (0 without labels); repeated
-rows get equal scores; an empty table gives an empty result; no column but the text and, for the
-fold, the id is read.
+rows get equal scores; a null id falls in fold 0; an empty table gives an empty result; no column but
+the text and, for the fold, the id is read.
 """
 
 from __future__ import annotations
 
 import math
 import re
+import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -35,7 +39,9 @@ THRESHOLD = 0.7
 FEATURES = 4096
 PREFIXES = (4, 5, 6)
 LEAST_GAIN = 10.0
-#: Names of groups, by kind; a swap stays inside its kind.
+#: Weight of the counterfactual term against the loss.
+FAIR = 5.0
+#: Names of groups in four languages, by kind; a swap stays inside its kind.
 GROUPS = (
     ("women", "men", "girls", "boys"),
     ("woman", "man", "girl", "boy"),
@@ -45,8 +51,21 @@ GROUPS = (
     ("gay", "lesbian", "straight", "bisexual", "transgender"),
     ("immigrants", "refugees", "citizens", "foreigners"),
     ("old", "young", "disabled", "deaf", "blind"),
+    ("frauen", "männer", "mädchen", "jungen"),
+    ("muslime", "christen", "juden", "hindus", "buddhisten", "atheisten"),
+    ("schwule", "lesben", "heteros", "bisexuelle"),
+    ("einwanderer", "flüchtlinge", "bürger", "ausländer"),
+    ("femmes", "hommes", "filles", "garçons"),
+    ("musulmans", "chrétiens", "juifs", "hindous", "bouddhistes", "athées"),
+    ("homosexuels", "lesbiennes", "hétérosexuels", "bisexuels"),
+    ("immigrés", "réfugiés", "citoyens", "étrangers"),
+    ("mujeres", "hombres", "chicas", "chicos"),
+    ("musulmanes", "cristianos", "judíos", "hindúes", "budistas", "ateos"),
+    ("homosexuales", "lesbianas", "heterosexuales", "bisexuales"),
+    ("inmigrantes", "refugiados", "ciudadanos", "extranjeros"),
 )
-_KIND = {name: kind for kind in GROUPS for name in kind}
+NAMES = sorted({name for kind in GROUPS for name in kind})
+_KIND = {name: kind for kind in reversed(GROUPS) for name in kind}
 _WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -61,10 +80,11 @@ def features_of(word: str) -> list[str]:
 
 @dataclass
 class Model:
-    """Weights by feature, and the score without any."""
+    """Weights by feature, the score without any, and how many counterfactual pairs the fit had."""
 
     weights: dict[str, float]
     bias: float
+    pairs: int = 0
 
     def score(self, texts: list[str | None], cache: dict[str, float]) -> np.ndarray:
         """Scores of ``texts``; prefixes of several words of a text count once."""
@@ -123,40 +143,58 @@ def chosen_features(counts: DataFrame, n_pos: int, n_all: int, most: int, least_
     share, p = n_pos / n_all, F.col("pos") / F.col("all")
     term = lambda x, y: F.when(x > 0, x * F.ln(x / y)).otherwise(0.0)
     gain = F.col("all") * (term(p, F.lit(share)) + term(1 - p, F.lit(1 - share)))
-    names = [f for kind in GROUPS for f in kind]
-    top = counts.where((gain >= least_gain) & ~F.col("feature").isin(names))
-    top = top.orderBy(F.round(gain, 9).desc(), "feature").limit(most - len(names)).select("feature")
-    return [r[0] for r in top.collect()] + names
+    top = counts.where((gain >= least_gain) & ~F.col("feature").isin(NAMES))
+    top = top.orderBy(F.round(gain, 9).desc(), "feature").limit(most - len(NAMES)).select("feature")
+    return [r[0] for r in top.collect()] + NAMES
+
+
+def mentions(text: str | None) -> tuple[str, str]:
+    """Two names of one kind, chosen by a hash of the text."""
+    pick = zlib.crc32((text or "").encode())
+    kind = GROUPS[pick % len(GROUPS)]
+    first, step = pick // len(GROUPS) % len(kind), 1 + pick // 997 % (len(kind) - 1)
+    return kind[first], kind[(first + step) % len(kind)]
+
+
+def counterfactuals(words: set[str], text: str | None) -> tuple[list[set[str]], list[set[str]]]:
+    """The words of a text with a name swapped, for each name in it; if it has none, with two names put in, one each."""
+    named = sorted(words & _KIND.keys())
+    if named:
+        return [words - {w} | {other} for w in named for other in _KIND[w] if other != w], []
+    return [], [words | {w} for w in mentions(text)]
 
 
 def design(sample: DataFrame, features: list[str]):
-    """Label, feature positions and counterfactual positions of each sampled text, in order of id."""
+    """Label, feature positions, swapped and inserted texts of each sampled text, in order of id.
+
+    The latter two are rows of what changes: p + 1 where position p is new, -(p + 1) where it goes.
+    """
     at = {f: i for i, f in enumerate(features)}
 
-    def positions(words: set[str]) -> list[int]:
-        return sorted({at[f] for w in words for f in features_of(w) if f in at})
+    def positions(words: set[str]) -> set[int]:
+        return {at[f] for w in words for f in features_of(w) if f in at}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            own, swapped = [], []
+            rows = []
             for text in batch.column(1):
                 words = words_of(text.as_py())
-                own.append(positions(words))
-                swapped.append(
-                    [positions(words - {w} | {other}) for w in sorted(words & _KIND.keys()) for other in _KIND[w] if other != w]
-                )
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), batch.column(2), pa.array(own, pa.list_(pa.int32())), pa.array(swapped, pa.list_(pa.list_(pa.int32())))],
-                ["id", "label", "own", "swapped"],
-            )
+                own = positions(words)
+                change = lambda other: [p + 1 for p in sorted(other - own)] + [-p - 1 for p in sorted(own - other)]  # noqa: B023, E731
+                made = counterfactuals(words, text.as_py())
+                rows.append((sorted(own), *([change(positions(w)) for w in x] for x in made)))
+            own, swapped, inserted = zip(*rows) if rows else ((), (), ())
+            kinds = [pa.list_(pa.int32()), *[pa.list_(pa.list_(pa.int32()))] * 2]
+            columns = [pa.array(list(c), k) for c, k in zip((own, swapped, inserted), kinds)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *columns], ["id", "label", "own", "swapped", "inserted"])
 
     rows = sample.select("id", "text", "label").mapInArrow(
-        run, "id long, label int, own array<int>, swapped array<array<int>>"
+        run, "id long, label int, own array<int>, swapped array<array<int>>, inserted array<array<int>>"
     )
     made = rows.toPandas()
     made["size"] = made["own"].map(len)
     made = made.sort_values(["id", "label", "size"], kind="stable")
-    return made["label"].to_numpy(), list(made["own"]), list(made["swapped"])
+    return made["label"].to_numpy(), *(list(made[c]) for c in ("own", "swapped", "inserted"))
 
 
 class _Rows:
@@ -174,39 +212,66 @@ class _Rows:
         return np.bincount(self.col, g[self.row], self.width)
 
 
+class _Changed:
+    """Texts that differ from rows of a :class:`_Rows` by signed positions."""
+
+    def __init__(self, base: list[int], changes: list, width: int):
+        self.base, self.n, self.width = np.asarray(base, np.int64), len(base), width
+        self.row = np.repeat(np.arange(self.n), [len(c) for c in changes])
+        signed = np.concatenate([np.asarray(c, np.int64) for c in changes]) if len(self.row) else np.empty(0, np.int64)
+        self.col, self.sign = np.abs(signed) - 1, np.sign(signed)
+
+    def logits(self, own: np.ndarray, w: np.ndarray) -> np.ndarray:
+        return own[self.base] + np.bincount(self.row, self.sign * w[self.col], self.n)
+
+    def back(self, g: np.ndarray) -> np.ndarray:
+        return np.bincount(self.col, self.sign * g[self.row], self.width)
+
+
 def fit_weights(
-    label: np.ndarray, own: list, swapped: list, width: int, l2: float = 2e-5, fair: float = 1.0, steps: int = 400
-) -> tuple[np.ndarray, float]:
-    """Full-batch accelerated descent; classes weigh equally in the loss."""
+    label: np.ndarray, own: list, swapped: list, inserted: list, width: int, l2: float = 2e-5, fair: float = FAIR, steps: int = 400
+) -> tuple[np.ndarray, float, int]:
+    """Weights, bias and the number of pairs, by full-batch accelerated descent; classes weigh equally in the loss."""
     x = _Rows(own, width)
-    pairs = [(i, s) for i, rows in enumerate(swapped) for s in rows]
-    a, b = _Rows([own[i] for i, _ in pairs], width), _Rows([s for _, s in pairs], width)
+    put = [(i, rows[0]) for i, rows in enumerate(inserted) if len(rows)]
+    pairs = [(i, (), row) for i, rows in enumerate(swapped) for row in rows]
+    pairs += [(i, rows[0], other) for i, rows in enumerate(inserted) if len(rows) for other in ((), rows[1])]
+    more = _Changed([i for i, _ in put], [c for _, c in put], width)
+    a, b = (_Changed([p[0] for p in pairs], [p[k] for p in pairs], width) for k in (1, 2))
     y = label.astype(float)
-    weight = np.where(y > 0, 0.5 / max(y.sum(), 1), 0.5 / max((1 - y).sum(), 1))
+    y_more = y[more.base]
+    n_pos, n_neg = y.sum() + y_more.sum(), (1 - y).sum() + (1 - y_more).sum()
+    weigh = lambda y: np.where(y > 0, 0.5 / max(n_pos, 1), 0.5 / max(n_neg, 1))
+    weight, weight_more = weigh(y), weigh(y_more)
     w, bias, m, mb = np.zeros(width), 0.0, np.zeros(width), 0.0
     v, vb = np.zeros(width), 0.0
     for t in range(1, steps + 1):
-        g = weight * (sigmoid(x.dot(w) + bias) - y)
-        gw, gb = x.back(g) + l2 * w, g.sum()
-        if pairs:
-            p, q = sigmoid(a.dot(w) + bias), sigmoid(b.dot(w) + bias)
+        z = x.dot(w) + bias
+        g = weight * (sigmoid(z) - y)
+        more_g = weight_more * (sigmoid(more.logits(z, w)) - y_more)
+        g += np.bincount(more.base, more_g, x.n)
+        gw = more.back(more_g) + l2 * w
+        if pairs and fair:
+            za, zb = a.logits(z, w), b.logits(z, w)
+            p, q = sigmoid(za), sigmoid(zb)
             d = 2 * fair * (p - q) / len(pairs)
-            gw += a.back(d * p * (1 - p)) - b.back(d * q * (1 - q))
-            z = 2 * fair * (a.dot(w) - b.dot(w)) / len(pairs)  # where scores saturate, logits still differ
-            gw += 0.1 * (a.back(z) - b.back(z))
-            gb += float((d * p * (1 - p)).sum() - (d * q * (1 - q)).sum())
+            apart = 0.2 * fair * (za - zb) / len(pairs)  # where scores saturate, logits still differ
+            ga, gb_ = d * p * (1 - p) + apart, -d * q * (1 - q) - apart
+            gw += a.back(ga) + b.back(gb_)
+            g += np.bincount(a.base, ga + gb_, x.n)
+        gw, gb = gw + x.back(g), g.sum()
         m, mb = 0.9 * m + 0.1 * gw, 0.9 * mb + 0.1 * gb
         v, vb = 0.999 * v + 0.001 * gw * gw, 0.999 * vb + 0.001 * gb * gb
         c1, c2 = 1 - 0.9**t, 1 - 0.999**t
         rate = 0.05 * (1 - t / (steps + 1)) + 0.002
         w = w - rate * (m / c1) / (np.sqrt(v / c2) + 1e-8)
         bias = bias - rate * (mb / c1) / (math.sqrt(vb / c2) + 1e-8)
-    return w, bias
+    return w, bias, len(pairs)
 
 
 def fit(
     docs: DataFrame, labels: DataFrame, label_col: str = "toxic", id_col: str = "doc_id", text_col: str = "text",
-    features: int = FEATURES, fair: float = 1.0,
+    features: int = FEATURES, fair: float = FAIR,
 ) -> Model:
     """Fit on a bounded sample of the labelled rows that are not held out."""
     sample = materialize(labelled_sample(docs, labels, label_col, PARTS, HELD_OUT, id_col, text_col), "toxicity-sample")
@@ -215,9 +280,19 @@ def fit(
         share = n_pos / n_all if n_all else 0.0
         return Model({}, 40.0 if share else -40.0)
     names = chosen_features(feature_counts(sample), n_pos, n_all, features)
-    label, own, swapped = design(sample, names)
-    w, bias = fit_weights(label, own, swapped, len(names), fair=fair)
-    return Model({f: float(x) for f, x in zip(names, w) if abs(x) > 1e-6}, float(bias))
+    w, bias, pairs = fit_weights(*design(sample, names), len(names), fair=fair)
+    return Model({f: float(x) for f, x in zip(names, w) if abs(x) > 1e-6}, float(bias), pairs)
+
+
+def mention_effect(model: Model, texts: list[str | None]) -> dict[str, float]:
+    """What neutral mentions do to texts: share rejected without and with one, over all names, and the mean and largest change of score."""
+    before = model.score(texts, {})
+    after = np.stack([model.score([f"{t or ''} {name}" for t in texts], {}) for name in NAMES])
+    change = np.abs(after - before)
+    return {
+        "rejected": float((before >= THRESHOLD).mean()), "rejected_with_mention": float((after >= THRESHOLD).mean()),
+        "mean_change": float(change.mean()), "largest_change": float(change.max()),
+    }
 
 
 def scores(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
