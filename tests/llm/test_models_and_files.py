@@ -50,10 +50,87 @@ def test_counterfactual_term_evens_group_names():
     names = ["idiot", "muslim", "christian", "sky"]
     own = [[0, 1]] * 30 + [[0]] * 30 + [[1]] * 30 + [[2]] * 30 + [[3]] * 30
     label = np.array([1] * 60 + [1] * 10 + [0] * 20 + [0] * 60)
-    swapped = [[[2 if x == 1 else 1 if x == 2 else x for x in r]] if set(r) & {1, 2} else [] for r in own]
-    plain, _ = toxicity.fit_weights(label, own, swapped, len(names), fair=0.0)
-    fair, _ = toxicity.fit_weights(label, own, swapped, len(names), fair=5.0)
-    assert plain[1] - plain[2] > 1 and abs(fair[1] - fair[2]) < 0.3 * (plain[1] - plain[2]) and fair[0] > 1
+    swapped = [[[3, -2]] if 1 in r else [[2, -3]] if 2 in r else [] for r in own]
+    none = [[] for _ in own]
+    plain, _, _ = toxicity.fit_weights(label, own, swapped, none, len(names), fair=0.0)
+    fair, _, pairs = toxicity.fit_weights(label, own, swapped, none, len(names), fair=5.0)
+    assert plain[1] - plain[2] > 1 and abs(fair[1] - fair[2]) < 0.3 * (plain[1] - plain[2]) and fair[0] > 1 and pairs == 90
+
+
+def objective(w, bias, label, own, swapped, inserted, l2, fair):
+    """What the fit minimises, text by text."""
+    logit = lambda row: bias + sum(w[p] for p in row)
+    score = lambda z: 1 / (1 + np.exp(-z))
+    changed = lambda row, c: (set(row) | {p - 1 for p in c if p > 0}) - {-p - 1 for p in c if p < 0}
+    texts, pairs = list(zip(own, label)), []
+    for row, y, swaps, puts in zip(own, label, swapped, inserted):
+        pairs += [(logit(row), logit(changed(row, c))) for c in swaps]
+        if puts:
+            texts.append((changed(row, puts[0]), y))
+            pairs += [(logit(texts[-1][0]), logit(row)), (logit(texts[-1][0]), logit(changed(row, puts[1])))]
+    n = {y: sum(v == y for _, v in texts) for y in (0, 1)}
+    loss = sum(-np.log(score(logit(r) if y else -logit(r))) * 0.5 / n[y] for r, y in texts)
+    return loss + l2 / 2 * sum(w * w) + fair * sum((score(p) - score(q)) ** 2 + 0.1 * (p - q) ** 2 for p, q in pairs) / max(len(pairs), 1)
+
+
+@pytest.mark.parametrize("fair", [0.0, 1.0])
+def test_fit_minimises_loss_and_score_changes(fair):
+    rng = random.Random(2)
+    own = [sorted(rng.sample(range(8), rng.randint(0, 4))) for _ in range(60)]
+    label = np.array([int(0 in r or rng.random() < 0.3) for r in own])
+    swapped = [[[8, -7]] if 6 in r and 7 not in r else [] for r in own]
+    inserted = [[[p + 1] if p not in r else [] for p in rng.sample((6, 7), 2)] if not {6, 7} & set(r) else [] for r in own]
+    w, bias, pairs = toxicity.fit_weights(label, own, swapped, inserted, 8, l2=1e-2, fair=fair, steps=3000)
+    assert pairs > 40
+    f = lambda x: objective(x[:8], x[8], label, own, swapped, inserted, 1e-2, fair)
+    best = np.append(w, bias)
+    slopes = [(f(best + e) - f(best - e)) / 2e-4 for e in 1e-4 * np.eye(9)]
+    assert max(map(abs, slopes)) < 2e-3
+    if fair:
+        without = toxicity.fit_weights(label, own, swapped, inserted, 8, l2=1e-2, fair=0.0, steps=3000)
+        assert abs(w[6]) + abs(w[7]) < 0.5 * (abs(without[0][6]) + abs(without[0][7]))
+
+
+def test_counterfactual_pairs_enter_the_fit(labelled):
+    """On the tables, whose texts name no group: pairs come from mentions put in, and the term changes weights and scores."""
+    docs, labels = labelled
+    fair, plain = toxicity.fit(docs, labels), toxicity.fit(docs, labels, fair=0.0)
+    known = [(r.text, r.toxic) for r in docs.join(labels.where("toxic IS NOT NULL"), "doc_id").collect()]
+    assert fair.pairs >= 300 and fair.weights != plain.weights
+    named = lambda m: sum(abs(m.weights.get(n, 0.0)) for n in toxicity.NAMES)
+    assert named(fair) < 0.5 * named(plain)
+    clean = [t for t, y in known if not y]
+    with_, without = toxicity.mention_effect(fair, clean), toxicity.mention_effect(plain, clean)
+    assert with_["rejected_with_mention"] <= without["rejected_with_mention"] and with_["mean_change"] < without["mean_change"]
+    assert with_["rejected_with_mention"] <= with_["rejected"] + 0.001
+
+
+def test_names_that_share_letters_with_insults_stay_neutral(spark):
+    """An insult's leading characters are those of a group's name: the term halves what these lend to the name."""
+    rng = random.Random(3)
+    rows = []
+    for i in range(900):
+        words = [f"w{rng.randrange(300)}" for _ in range(30)]
+        bad = i % 4 == 0
+        rows.append((i, " ".join(words + [f"muslim{rng.choice('abcdefgh')}x"] * bad), int(bad)))
+    df = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    texts = [f"w1 w2 w{i}" for i in range(50)]
+    models = {fair: toxicity.fit(df.select("doc_id", "text"), df.select("doc_id", "toxic"), fair=fair) for fair in (0.0, 20.0)}
+    rise = {f: (m.score([t + " muslim" for t in texts], {}) - m.score(texts, {})).mean() for f, m in models.items()}
+    assert rise[0.0] > 0.01 and abs(rise[20.0]) < 0.5 * rise[0.0]
+
+
+def test_scores_equal_brute_force(labelled):
+    docs, labels = labelled
+    model = toxicity.fit(docs, labels)
+    rows = {r.doc_id: r for r in toxicity.scores(docs, model).collect()}
+    import re
+
+    for r in docs.limit(200).collect():
+        words = set(re.findall(r"[^\W\d_]+", (r.text or "").lower()))
+        found = words | {w[:n] + "*" for w in words for n in (4, 5, 6) if len(w) > n}
+        z = model.bias + sum(w for f, w in model.weights.items() if f in found)
+        assert abs(rows[r.doc_id].score - 1 / (1 + np.exp(-z))) < 1e-9 and rows[r.doc_id].predicted == int(rows[r.doc_id].score >= 0.7)
 
 
 def test_model_edges(spark, labelled):
@@ -128,6 +205,64 @@ def test_reader_handles_other_baseline_files():
     assert thumb.tolist() == [[138, 122, 208], [208, 128, 142]]
 
 
+def coded(levels, last, dc, ac, high):
+    """Bits of one block with some AC terms."""
+    d, out = levels - last, ""
+    word = lambda c: format(c[0], f"0{c[1]}b")
+    n = abs(d).bit_length()
+    out += word(dc[n]) + (format(d if d > 0 else d + (1 << n) - 1, f"0{n}b") if n else "")
+    return out + (word(ac[0x31]) + "1" if high else "") + word(ac[0x00])
+
+
+@pytest.mark.parametrize("factors", [((2, 2), (1, 1), (1, 1)), ((2, 1), (1, 1), (1, 1)), ((1, 1), (1, 1), (1, 1)), ((1, 2), (1, 1), (1, 2)), ((2, 2),)])
+@pytest.mark.parametrize("apart, interval", [(False, 0), (False, 3), (True, 0)])
+def test_reader_takes_luminance_of_colour_files(factors, apart, interval):
+    """Interleaved and separate scans, subsampled colour, odd sizes, restart intervals, one table per kind of component."""
+    import struct
+
+    rng = random.Random(str(factors) + str(interval))
+    width, height = 53, 37
+    dcs = [{0: 2, 1: 2, 2: 3, 3: 3, 4: 3, 5: 4, 6: 5, 7: 6, 8: 6}, {k: 4 for k in range(9)}]
+    acs = [{0x00: 1, 0x31: 2}, {0x00: 3, 0x31: 1}]
+    dc, ac = [media.canonical(x) for x in dcs], [media.canonical(x) for x in acs]
+    most = [max(f[k] for f in factors) for k in (0, 1)]
+    units = (-(-height // (8 * most[1])), -(-width // (8 * most[0])))
+    planes = [np.array([[rng.randint(-60, 60) for _ in range(units[1] * f[0])] for _ in range(units[0] * f[1])]) for f in factors]
+    covered = [(-(-(-(-height * f[1] // most[1])) // 8), -(-(-(-width * f[0] // most[0])) // 8)) for f in factors]
+
+    def scan(members):
+        bits, out, last = "", b"", [0] * len(factors)
+        if len(members) == 1:
+            c = members[0]
+            order = [[(c, y, x)] for y in range(covered[c][0]) for x in range(covered[c][1])]
+        else:
+            order = [[(c, my * factors[c][1] + y, mx * factors[c][0] + x) for c in members for y in range(factors[c][1]) for x in range(factors[c][0])] for my in range(units[0]) for mx in range(units[1])]
+        for i, unit in enumerate(order):
+            for c, y, x in unit:
+                bits += coded(int(planes[c][y, x]), last[c], dc[c > 0], ac[c > 0], rng.random() < 0.5)
+                last[c] = int(planes[c][y, x])
+            if i == len(order) - 1 or (interval and i % interval == interval - 1):
+                bits += "1" * (-len(bits) % 8)
+                out += bytes(int(bits[k : k + 8], 2) for k in range(0, len(bits), 8)).replace(b"\xff", b"\xff\x00")
+                bits, last = "", [0] * len(factors)
+                if i < len(order) - 1:
+                    out += bytes([0xFF, 0xD0 + i // interval % 8])
+        head = bytes([len(members)]) + b"".join(bytes([c + 1, 0x11 * (c > 0)]) for c in members)
+        return media._segment(0xDA, head + b"\0\x3f\0") + out
+
+    data = b"\xff\xd8" + media._segment(0xE0, b"JFIF\0") + media._segment(0xDB, bytes([0, 8, *[3] * 63, 1, 5, *[3] * 63]))
+    data += media._segment(0xC0, struct.pack(">BHHB", 8, height, width, len(factors)) + b"".join(bytes([c + 1, f[0] << 4 | f[1], c > 0]) for c, f in enumerate(factors)))
+    for k in (0, 1):
+        data += media._huffman_segment(k, dcs[k]) + media._huffman_segment(0x10 | k, acs[k])
+    if interval:
+        data += media._segment(0xDD, struct.pack(">H", interval))
+    groups = [[c] for c in reversed(range(len(factors)))] if apart else [list(range(len(factors)))]
+    data += b"".join(map(scan, groups)) + b"\xff\xd9"
+    ((frame, thumb),) = media.thumbnails([data])[0]
+    assert (frame.width, frame.height) == (width, height)
+    assert (thumb.astype(int) - 128).tolist() == planes[0][: covered[0][0], : covered[0][1]].tolist()
+
+
 def test_media_columns(spark):
     texts = ["", None, "abc", "abc", "é" * 5000]
     df = spark.createDataFrame([(i, t, b"") for i, t in enumerate(texts)], "doc_id long, text string, media binary")
