@@ -64,6 +64,24 @@ def test_collisions_are_split(spark, odd, monkeypatch):
     assert sum(r.kept for r in rows) == 5
 
 
+@pytest.mark.parametrize("collide", [False, True])
+def test_hot_groups_are_spread(spark, monkeypatch, collide):
+    """A third of all rows are copies of one text: same groups, and no task of the join has them all."""
+    if collide:
+        md5 = F.md5
+        monkeypatch.setattr(exact_dedup.F, "md5", lambda c: md5(F.substring(c, 1, 1)))
+    monkeypatch.setattr(exact_dedup, "HOT", 20)
+    rows = [(i, "hot text" if i % 3 == 0 else f"h{i // 2}" if i % 2 else f"t {i // 4}") for i in range(900)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(6)
+    known = brute(rows)
+    for r in exact_dedup.group_copies(df).collect():
+        assert (r.keep_id, r.group_size) == known[BLANK.sub("", rows[r.doc_id][1])]
+    keys = exact_dedup.content_keys(df)
+    hot = keys.groupBy("digest").count().where("count > 100")
+    spread = exact_dedup.salted(keys, hot).where("hot").groupBy("digest", "salt").count()
+    assert spread.agg(F.max("count")).first()[0] < 100 and exact_dedup.every_salt(hot, hot).count() == exact_dedup.SALTS * hot.count()
+
+
 def fingerprint(text):
     words = (text or "").encode().lower().split()
     if not words:
