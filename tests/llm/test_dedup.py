@@ -229,12 +229,15 @@ def grams(text):
     return {tuple(words[i : i + 5]) for i in range(max(1, len(words) - 4))}
 
 
-@pytest.mark.parametrize("least", [0, shingles.LEAST_PAIRS])
-def test_stage_leaves_no_near_copies(spark, monkeypatch, least):
+@pytest.mark.parametrize("pairs, few, tile", [(0, shingles.FEW, 128), (100, 2, 4), (100, 1, 128), (100, 10_000, 128)])
+def test_stage_leaves_no_near_copies(spark, monkeypatch, pairs, few, tile):
     """No two texts at a five-word Jaccard of 0.8 or more stay, and each that goes was near another."""
     from corpus_pipeline import drop_near_copies
 
-    monkeypatch.setattr(shingles, "LEAST_PAIRS", least)
+    monkeypatch.setattr(shingles, "PAIRS_A_ROW", pairs)
+    monkeypatch.setattr(shingles, "FEW", few)
+    monkeypatch.setattr(shingles, "TILE_ROWS", tile)
+    monkeypatch.setattr(shingles, "COLUMNS", 64)
     rng = random.Random(3)
     texts = []
     for _ in range(12):
