@@ -2,7 +2,7 @@
 
 A general blocking predicate holds for two values when their key sets share a key. ``G_CLASSIC`` has
 token, numeric and character functions; ``G_FULL`` adds phonetic codes per token. The two metaphones
-run as Arrow functions and are kept out of these sets' hot path (see :mod:`dnfblock.functions.phonetic`).
+run as Arrow functions over all values of a field at once; the other functions are built-in expressions.
 """
 
 from __future__ import annotations
@@ -23,9 +23,12 @@ class IndexingFunction:
     name: str
     family: str  # "token", "numeric", "character", "phonetic"
     keys: Callable[[Column], Column]
+    joined: bool = False  # keys of all values come from one string of them, as Arrow functions can't stand in lambdas
 
     def of_values(self, values: Column) -> Column:
         """Keys of a set-valued field: the union over its values."""
+        if self.joined:
+            return self.keys(F.array_join(F.coalesce(values, F.array().cast("array<string>")), " "))
         return F.array_distinct(F.flatten(F.transform(F.coalesce(values, F.array().cast("array<string>")), self.keys)))
 
 
@@ -124,11 +127,13 @@ _LIST = (
     IndexingFunction("token", "token", tokens),
     IndexingFunction("token_ng2", "token", _token_ngrams(2)),
     IndexingFunction("token_ng4", "token", _token_ngrams(4)),
+    IndexingFunction("token_ng6", "token", _token_ngrams(6)),
     IndexingFunction("token_prefix3", "token", lambda x: F.array_distinct(F.transform(tokens(x), lambda t: F.substring(t, 1, 3)))),
     IndexingFunction("token_sorted", "token", lambda x: _some(F.array_join(F.array_sort(_all_tokens(x)), ""))),
     IndexingFunction("common_int", "numeric", integers),
     IndexingFunction("int_pm1", "numeric", _within_one),
     IndexingFunction("round10", "numeric", _round10),
+    IndexingFunction("first_sig_digits2", "numeric", lambda x: F.array_distinct(F.transform(integers(x), lambda d: F.substring(d, 1, 2)))),
     IndexingFunction("soundex", "phonetic", _per_token(F.soundex)),
     IndexingFunction("refined_soundex", "phonetic", _per_token(phonetic.refined_soundex)),
     IndexingFunction("nysiis", "phonetic", _per_token(phonetic.nysiis)),
@@ -136,9 +141,11 @@ _LIST = (
     IndexingFunction("caverphone2", "phonetic", _per_token(phonetic.caverphone2)),
     IndexingFunction("match_rating", "phonetic", _per_token(phonetic.match_rating)),
     IndexingFunction("cologne", "phonetic", _per_token(phonetic.cologne)),
+    IndexingFunction("metaphone", "phonetic", phonetic.metaphone_keys, True),
+    IndexingFunction("double_metaphone", "phonetic", phonetic.double_metaphone_keys, True),
 )
 REGISTRY = {f.name: f for f in _LIST}
-#: Not part of G: used by the worked examples only, or too coarse to name a block.
+#: Not part of G: a key of one character names a block of a constant share of all records, whatever their number.
 _ASIDE = {"first_digit", "first1"}
 G_CLASSIC = tuple(f.name for f in _LIST if f.family != "phonetic" and f.name not in _ASIDE)
 G_FULL = tuple(f.name for f in _LIST if f.name not in _ASIDE)

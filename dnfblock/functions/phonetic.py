@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Callable
-from functools import reduce
+from functools import lru_cache, reduce
 
 import pandas as pd
 from pyspark.sql import Column
@@ -335,29 +335,37 @@ def double_metaphone(word: str, most: int = 4) -> tuple[str, str]:
 
 
 def _token_keys(values: Column, code: Callable[[str], tuple[str, ...]]) -> Column:
-    """Codes of the tokens of a value; Arrow batches, each distinct token of a batch coded once."""
+    """Codes of the tokens of a value; Arrow batches, a worker codes a token once while it is among its latest."""
+
+    def keys(text: str | None) -> list[str]:
+        words = _OTHERS.sub(" ", (text or "").lower()).split()
+        return sorted({c for t in words if t.isalpha() for c in code(t)} - {""})
 
     @F.pandas_udf("array<string>")
     def coded(texts: pd.Series) -> pd.Series:
-        seen: dict[str, tuple[str, ...]] = {}
-
-        def keys(text):
-            words = "".join(c if c.isascii() and c.isalnum() else " " for c in (text or "").lower()).split()
-            for t in words:
-                if t.isalpha() and t not in seen:
-                    seen[t] = code(t)
-            return sorted({c for t in words if t.isalpha() for c in seen[t]} - {""})
-
         return texts.map(keys)
 
     return coded(values)
 
 
+_OTHERS = re.compile("[^a-z0-9]+")
+
+
+@lru_cache(maxsize=1 << 16)
+def _single(token: str) -> tuple[str, ...]:
+    return (metaphone(token),)
+
+
+@lru_cache(maxsize=1 << 16)
+def _double(token: str) -> tuple[str, str]:
+    return double_metaphone(token)
+
+
 def metaphone_keys(values: Column) -> Column:
     """Metaphones of the tokens of a value."""
-    return _token_keys(values, lambda t: (metaphone(t),))
+    return _token_keys(values, lambda t: _single(t))
 
 
 def double_metaphone_keys(values: Column) -> Column:
     """Both codes of the tokens of a value, each key once."""
-    return _token_keys(values, double_metaphone)
+    return _token_keys(values, lambda t: _double(t))

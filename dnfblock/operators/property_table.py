@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -49,9 +51,10 @@ def encode_multi(values: Column, delimiter: str = ";", escape: str = "\\") -> Co
 
 def decode_multi(text: Column, delimiter: str = ";", escape: str = "\\") -> Column:
     """The inverse of :func:`encode_multi`."""
-    marked = F.replace(F.replace(text, F.lit(escape * 2), F.lit("\x01")), F.lit(escape + delimiter), F.lit("\x02"))
-    parts = F.split(marked, "\\" + delimiter)
-    return F.transform(parts, lambda v: F.replace(F.replace(v, F.lit("\x02"), F.lit(delimiter)), F.lit("\x01"), F.lit(escape)))
+    d, e = re.escape(delimiter), re.escape(escape)
+    cells = f"(?s)([^{d}{e}]*+(?:{e}.[^{d}{e}]*+)*+){d}"  # an escape always takes the character after it along
+    parts = F.regexp_extract_all(F.concat(text, F.lit(delimiter)), F.lit(cells), F.lit(1))
+    return F.transform(parts, lambda v: F.regexp_replace(v, f"(?s){e}(.)", "$1"))
 
 
 def to_property_map(triples: DataFrame) -> DataFrame:

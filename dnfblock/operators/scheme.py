@@ -94,7 +94,8 @@ class Scheme:
         sets = [a.keys(side, column) for a in self.terms[i]]
 
         def pair(xs: Column, ys: Column) -> Column:
-            return let(ys, lambda known: F.flatten(F.transform(xs, lambda x: F.transform(known, lambda y: F.concat(x, F.lit(SEPARATOR), y)))))
+            both = F.struct(xs.alias("x"), ys.alias("y"))
+            return let(both, lambda b: F.flatten(F.transform(b["x"], lambda x: F.transform(b["y"], lambda y: F.concat(x, F.lit(SEPARATOR), y)))))
 
         return reduce(pair, sets)
 

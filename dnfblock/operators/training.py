@@ -7,6 +7,9 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 
+SHIFTS = 32
+
+
 def take_duplicates(ranked: DataFrame, n: int) -> DataFrame:
     """``tp_id, l_rid, r_rid``: the first ``n`` retrieved pairs, fewer if there are fewer."""
     return ranked.where(F.col("rank") <= n).select(F.col("rank").alias("tp_id"), "l_rid", "r_rid")
@@ -15,15 +18,18 @@ def take_duplicates(ranked: DataFrame, n: int) -> DataFrame:
 def permute_negatives(dups: DataFrame, seed: str = "0") -> DataFrame:
     """Non-duplicates by shifting the partners of hash-ordered pairs by one: nobody keeps a partner row.
 
-    Pairs that are duplicates after all, as one record can be in several, are dropped.
+    A pair that is a duplicate after all, as one record can be in several, takes the partner of the next shift,
+    of ``SHIFTS`` at most, that makes none; so there are as many non-duplicates as duplicates wherever that is possible.
     """
     order = Window.orderBy(F.md5(F.concat(F.lit(seed), F.lit("|"), F.col("tp_id").cast("string"))), "tp_id")
     rows = dups.withColumn("n", F.row_number().over(order))
     many = F.count("*").over(Window.partitionBy())
     rows = rows.withColumn("many", many)
-    shifted = rows.select(F.when(F.col("n") == 1, F.col("many")).otherwise(F.col("n") - 1).alias("n"), F.col("r_rid").alias("other"))
-    out = rows.join(shifted, "n").where("many > 1").select("tp_id", "l_rid", F.col("other").alias("r_rid"))
-    return out.join(dups.select("l_rid", "r_rid"), ["l_rid", "r_rid"], "left_anti").select("tp_id", "l_rid", "r_rid")
+    shift = F.explode(F.sequence(F.lit(1), F.lit(SHIFTS))).alias("shift")
+    tried = rows.select("tp_id", "l_rid", "n", "many", shift).where("shift < many")
+    tried = tried.withColumn("n", F.pmod(F.col("n") - 1 + F.col("shift"), F.col("many")) + 1)
+    out = tried.join(rows.select("n", "r_rid"), "n").join(dups.select("l_rid", "r_rid"), ["l_rid", "r_rid"], "left_anti")
+    return out.groupBy("tp_id", "l_rid").agg(F.min(F.struct("shift", "r_rid")).alias("m")).select("tp_id", "l_rid", F.col("m.r_rid").alias("r_rid"))
 
 
 def labelled_duplicates(truth: DataFrame, n: int, seed: str = "0") -> DataFrame:

@@ -49,7 +49,7 @@ _candidates("candidates_p3", P3, S3, _found(P3, S3))
 @query("candidates_bruteforce_p1", CROSS1)
 def candidates_bruteforce_p1(spark, d):
     left, right, _ = datasets.load(spark, d, P1)
-    return blocking.covered_pairs_bruteforce(left, right, S1)
+    return blocking.covered_pairs_bruteforce(left, right, S1, 100_000_000)
 
 
 @query("candidates_p5_verify", twins.cross(P5, S5))

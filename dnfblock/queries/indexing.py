@@ -22,7 +22,7 @@ SOURCES = {
 INDEXED = [
     ("exact", "part"), ("first1", "part"), ("first3", "part"), ("first5", "part"), ("first7", "part"), ("last3", "part"), ("first_digit", "balance"),
     ("qgram2", "part"), ("qgram3", "part"), ("qgram4", "nation"), ("token", "part"), ("raw_token", "part"), ("token_prefix3", "part"), ("token_sorted", "part"),
-    ("token_ng2", "documents"), ("token_ng4", "documents"), ("common_int", "customer"), ("int_pm1", "balance"), ("round10", "balance"),
+    ("token_ng2", "documents"), ("token_ng4", "documents"), ("token_ng6", "documents"), ("first_sig_digits2", "balance"), ("common_int", "customer"), ("int_pm1", "balance"), ("round10", "balance"),
     ("soundex", "part"), ("refined_soundex", "part"), ("nysiis", "part"), ("caverphone1", "part"), ("caverphone2", "nation"), ("match_rating", "part"), ("cologne", "nation"),
 ]
 

@@ -24,8 +24,8 @@ N1 = 50
 def negative_ctes(seed: str = "0") -> str:
     """CTE negs: the permutation of CTE dups."""
     return f"""po AS (SELECT *, row_number() OVER (ORDER BY md5('{seed}|' || CAST(tp_id AS VARCHAR)), tp_id) AS n, count(*) OVER () AS many FROM dups),
-    sh AS (SELECT CASE WHEN n = 1 THEN many ELSE n - 1 END AS n, r_rid AS other FROM po),
-    negs AS (SELECT po.tp_id, po.l_rid, sh.other AS r_rid FROM po JOIN sh USING (n) WHERE po.many > 1 AND NOT EXISTS (SELECT 1 FROM dups x WHERE x.l_rid = po.l_rid AND x.r_rid = sh.other))"""
+    negs AS (SELECT po.tp_id, po.l_rid, sh.r_rid FROM po JOIN range(1, {training.SHIFTS + 1}) AS s(i) ON s.i < po.many JOIN po AS sh ON sh.n = (po.n - 1 + s.i) % po.many + 1
+      WHERE NOT EXISTS (SELECT 1 FROM dups x WHERE x.l_rid = po.l_rid AND x.r_rid = sh.r_rid) QUALIFY row_number() OVER (PARTITION BY po.tp_id, po.l_rid ORDER BY s.i) = 1)"""
 
 
 def dup_ctes(pair: datasets.Pair, n: int, seed: str = "0") -> str:

@@ -44,7 +44,7 @@ def keys(name: str, x: str) -> str:
         return f"list_filter([{n}], lambda t: t <> '')"
     if name == "first_digit":
         return f"CASE WHEN regexp_matches({x}, '^[0-9]') THEN [left({x}, 1)] ELSE []::VARCHAR[] END"
-    if name.startswith("first") or name == "last3":
+    if (name.startswith("first") and name != "first_sig_digits2") or name == "last3":
         size = int(name[-1])
         return f"CASE WHEN length({n}) >= {size} THEN [{'right' if name == 'last3' else 'left'}({n}, {size})] ELSE []::VARCHAR[] END"
     if name.startswith("qgram"):
@@ -65,6 +65,8 @@ def keys(name: str, x: str) -> str:
         return _ints(x)
     if name == "int_pm1":
         return f"list_distinct(flatten(list_transform({_ints(x)}, lambda d: [d, CAST(CAST(d AS BIGINT) + 1 AS VARCHAR)])))"
+    if name == "first_sig_digits2":
+        return f"list_distinct(list_transform({_ints(x)}, lambda d: left(d, 2)))"
     if name == "round10":
         return f"list_distinct(list_transform({_ints(x)}, lambda d: CAST(CAST(d AS BIGINT) // 10 AS VARCHAR)))"
     code = _PHONETIC[name]

@@ -114,6 +114,15 @@ def test_records_in_several_pairs_are_guarded(spark):
     assert not negs & {("a", "x"), ("a", "y"), ("b", "z")}
 
 
+def test_non_duplicates_are_as_many_as_duplicates(spark):
+    """Records in many pairs collide at the first shift; the next ones fill up."""
+    rows = [(i, f"l{i % 4}", f"r{i % 6}") for i in range(1, 13)] + [(20 + i, f"x{i}", f"y{i}") for i in range(20)]
+    dups = spark.createDataFrame(rows, "tp_id long, l_rid string, r_rid string")
+    negs = training.permute_negatives(dups).collect()
+    assert len(negs) == len(rows) and not {(r.l_rid, r.r_rid) for r in negs} & {r[1:] for r in rows}
+    assert sorted(r.tp_id for r in negs) == sorted(r[0] for r in rows)
+
+
 def test_semi_supervised_caps_wide_elements():
     c = cover([range(1, 11), range(1, 11)], [[], [1]])
     wide = np.array([[True] * 10, [False] * 10])

@@ -25,7 +25,7 @@ def test_schema_table_and_back(graph):
 
 
 def test_codec_escapes(spark):
-    values = [["a;b", "c\\", "", "\;"], ["x"], [";"], ["a", "b"]]
+    values = [["a;b", "c\\", "", "\\;"], ["x"], [";"], ["a", "b"], ["a\x01b", "\x02;\x01\\"], ["\n;", "\\\\;\n\\", "$1"], ["\\;" * 2000, "é🙂;" * 100]]
     df = spark.createDataFrame([(v,) for v in values], "v array<string>")
     assert [r[0] for r in df.select(pt.decode_multi(pt.encode_multi(F.col("v")))).collect()] == values
     assert df.select(pt.encode_multi(F.lit(None).cast("array<string>"))).first()[0] is None

@@ -101,3 +101,24 @@ def test_linked_view_and_records(spark, people):
     v = {(r.l_rid, r.r_rid): r.name for r in blocking.linked_view(pairs, people, people, {"name": ("last", "last")}).collect()}
     assert v[("a", "d")] == "Torres" and v[(None, "b")] == "Lind" and len(v) == 9
     assert blocking.with_records(pairs, people, people).first().r_last == ["V. Torres Sr."]
+
+
+def test_metaphones_in_atoms_terms_and_coverage(spark):
+    """Functions of all values at once stand in conjunctions, indexes and predicates like the others."""
+    from dnfblock.functions import phonetic
+    from dnfblock.functions.indexing import G_FULL
+    from dnfblock.operators import blocking, search_space
+    from dnfblock.operators.scheme import Atom, Scheme
+
+    assert {"metaphone", "double_metaphone"} <= set(G_FULL)
+    left = spark.createDataFrame([("1", ["Smith", "Jon 7"], ["x y"]), ("2", ["Brown"], ["z"]), ("3", None, ["x"]), ("4", [None, "smyth"], ["y"])], "rid string, a array<string>, b array<string>")
+    right = left.select("rid", "a", "b")
+    code = lambda vs: {phonetic.metaphone(t) for v in vs or [] if v for t in v.lower().split() if t.isalpha()} - {""}
+    rows = {r.rid: (code(r.a), {t for v in r.b for t in v.split()}) for r in left.collect()}
+    scheme = Scheme.of((Atom.simple("metaphone", "a"), Atom.simple("token", "b")))
+    want = {(x, y) for x in rows for y in rows if rows[x][0] & rows[y][0] and rows[x][1] & rows[y][1]}
+    assert {tuple(r) for r in blocking.candidates(left, right, scheme).collect()} == want == {tuple(r) for r in blocking.covered_pairs_bruteforce(left, right, scheme).collect()}
+    pairs = spark.createDataFrame([(1, "1", "4"), (2, "1", "2")], "tp_id long, l_rid string, r_rid string")
+    cov = search_space.collect_coverage(pairs, pairs.where("tp_id = 2"), left, right, search_space.atoms(G_FULL, ((("a",), ("a",)),)))
+    at = G_FULL.index("double_metaphone")
+    assert cov.dups[at].tolist() == [True, False] and cov.nondups[at].tolist() == [False]
