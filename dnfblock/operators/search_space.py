@@ -80,7 +80,18 @@ def collect_coverage(dups: DataFrame, nondups: DataFrame, left: DataFrame, right
     for label in (0, 1):
         part = found[found["label"] == label]
         out[label][part["elem_id"].to_numpy(int), part["tp_id"].map(at[label]).to_numpy(int)] = True
-    return Coverage([(a,) for a in elements], out[1], out[0], len(elements) * (len(ids[0]) + len(ids[1])))
+    cov = Coverage([(a,) for a in elements], out[1], out[0], len(elements) * (len(ids[0]) + len(ids[1])))
+    cov.stats = {"dup_ids": np.array(ids[1], np.int64), "nondup_ids": np.array(ids[0], np.int64)}
+    return cov
+
+
+def split_runs(cov: Coverage, runs: int, step: int) -> list[Coverage]:
+    """Coverage of several training sets that was collected in one pass: run r has the ids from r * ``step`` on."""
+    out = []
+    for r in range(runs):
+        d, n = (cov.stats[k] // step == r for k in ("dup_ids", "nondup_ids"))
+        out.append(Coverage(cov.elements, cov.dups[:, d], cov.nondups[:, n], len(cov.elements) * int(d.sum() + n.sum())))
+    return out
 
 
 def supplement(cov: Coverage, k: int, min_support: float = 0.0) -> Coverage:

@@ -75,7 +75,8 @@ def permuted_negatives_p1(spark, d):
     return training.permute_negatives(dups)
 
 
-SIZES = (50, 100, 200)
+SIZES = (50, 100, 200, 500, 1_000, 2_000, 5_000, 10_000)
+TRIALS = 10
 
 
 @query(
@@ -83,14 +84,14 @@ SIZES = (50, 100, 200)
     " UNION ALL ".join(
         f"(WITH truth AS ({datasets.duck(P6.truth_sql)}), {dup_ctes(P6, n, str(s))} SELECT {n} AS n_dups, {s} AS run, count(*) AS size, round(1 - count(t.l_rid) / count(*), 6) AS accuracy FROM negs LEFT JOIN truth t USING (l_rid, r_rid))"
         for n in SIZES
-        for s in (0, 1, 2)
+        for s in range(TRIALS)
     ),
 )
 def nondup_accuracy_p6(spark, d):
     truth = datasets.truth(spark, d, P6)
     out = None
     for n in SIZES:
-        for run in (0, 1, 2):
+        for run in range(TRIALS):
             negs = training.permute_negatives(training.labelled_duplicates(truth, n, str(run)), str(run))
             row = metrics.nondup_accuracy(negs, truth).select(F.lit(n).alias("n_dups"), F.lit(run).alias("run"), "size", F.round("accuracy", 6).alias("accuracy"))
             out = row if out is None else out.unionByName(row)
@@ -264,12 +265,26 @@ def generate_training_customer(spark, d):
 
 @query("sweep_red_blue_p1")
 def sweep_red_blue_p1(spark, d):
-    bench = Bench(spark, d, "p1")
+    return _sweep(spark, d, "p1")
+
+
+def _sweep(spark, d, name):
+    bench = Bench(spark, d, name)
     grid = learners.sweep(learners.red_blue, bench.coverage("supervised"), experiments.EPSILONS, experiments.ETAS)
     rows = [(e, n, r.status, len(r.scheme.terms), bench.measure(r)["fscore"]) for e, n, r in grid]
     return spark.createDataFrame(rows, "eps double, eta double, status string, terms int, fscore double")
 
 
+@query("sweep_red_blue_p2")
+def sweep_red_blue_p2(spark, d):
+    return _sweep(spark, d, "p2")
+
+
+@query("sweep_red_blue_p3")
+def sweep_red_blue_p3(spark, d):
+    return _sweep(spark, d, "p3")
+
+
 @query("failure_eta0_eps1")
 def failure_eta0_eps1(spark, d):
     """The extreme setting; how many of the duplicates elements without any non-duplicate can cover."""
@@ -290,24 +305,42 @@ def _table(spark, rows, extra: str = "", more=lambda r: ()):
     return spark.createDataFrame(base, ROW + extra)
 
 
+RUNS = 10
+
+
 @query("exp1_table")
 def exp1_table(spark, d):
-    return _table(spark, experiments.comparison(spark, d, ("p1", "p5", "p7")))
+    return _table(spark, experiments.comparison(spark, d, ("p1", "p5", "p7"), RUNS))
+
+
+def _exp1(name: str) -> None:
+    @query(f"exp1_{name}")
+    def run(spark, d):
+        return _table(spark, experiments.comparison(spark, d, (name,), RUNS))
+
+
+for _n in datasets.PAIRS:
+    _exp1(_n)
 
 
 @query("exp2_k2_table")
 def exp2_k2_table(spark, d):
-    return _table(spark, experiments.comparison(spark, d, ("p1", "p5"), k=2))
+    return _table(spark, experiments.comparison(spark, d, ("p1", "p3", "p5", "p7"), k=2))
 
 
 @query("learn_truth_mappings_p2")
 def learn_truth_mappings_p2(spark, d):
-    return _table(spark, experiments.comparison(spark, d, ("p2",), true_mappings=True))
+    return _table(spark, experiments.comparison(spark, d, ("p2",), RUNS, true_mappings=True))
+
+
+@query("learn_truth_mappings_p4")
+def learn_truth_mappings_p4(spark, d):
+    return _table(spark, experiments.comparison(spark, d, ("p4",), RUNS, true_mappings=True))
 
 
 @query("significance")
 def significance(spark, d):
-    rows = experiments.significance(experiments.comparison(spark, d, ("p1",), runs=3))
+    rows = experiments.significance(experiments.comparison(spark, d, ("p1", "p5", "p7"), RUNS))
     return spark.createDataFrame(
         [(r["pair"], r["measure"], r["rival"], r["mean_proposed"], r["mean_rival"], r["p"], r["level"]) for r in rows],
         "pair string, measure string, rival string, mean_proposed double, mean_rival double, p double, level string",
@@ -316,12 +349,15 @@ def significance(spark, d):
 
 @query("fscore_vs_n_p1")
 def fscore_vs_n_p1(spark, d):
-    return _table(spark, experiments.fscore_by_n(Bench(spark, d, "p1"), (10, 50, 100, 200)), ", n int", lambda r: (r["n"],))
+    """Up to past the number of true pairs, where further retrieved pairs are noise."""
+    bench = Bench(spark, d, "p1", retrieve=2_000)
+    return _table(spark, experiments.fscore_by_n(bench, (10, 50, 100, 200, 500, 700, 1_000, 2_000)), ", n int", lambda r: (r["n"],))
 
 
 @query("ablate_G")
 def ablate_g(spark, d):
-    return _table(spark, experiments.ablate_functions(Bench(spark, d, "p1")), ", functions string, k int", lambda r: (r["functions"], r["k"]))
+    rows = [r for name in ("p1", "p5") for r in experiments.ablate_functions(Bench(spark, d, name))]
+    return _table(spark, rows, ", functions string, k int", lambda r: (r["functions"], r["k"]))
 
 
 @query("fallback_exhaustive_p1")

@@ -12,7 +12,7 @@ from dnfblock.queries.catalogue import query
 from dnfblock.sources import datasets
 from dnfblock.sources.datasets import P1, P5, P6, PAIRS
 
-KS = (1, 5, 10, 25, 50, 100, 200, 500, 1000)
+KS = (1, 5, 10, 25, 50, 100, 200, 500, 1_000, 2_000, 5_000, 10_000, 20_000, 50_000)
 
 
 def _bag(side: datasets.Side, table: str) -> str:
@@ -131,13 +131,18 @@ for _n in PAIRS:
 
 @query("mapping_quality_all")
 def mapping_quality_all(spark, d):
-    return _mapping_rows(spark, [_quality(Bench(spark, d, n), 50, 0.5) for n in ("p1", "p5", "p6", "p7")])
+    return _mapping_rows(spark, [_quality(Bench(spark, d, n), 50, 0.5) for n in PAIRS])
 
 
 @query("mapping_sweep_t_theta")
 def mapping_sweep_t_theta(spark, d):
-    bench = Bench(spark, d, "p1")
-    return _mapping_rows(spark, [_quality(bench, t, theta) for t, theta in ((10, 0.5), (50, 0.0), (50, 0.5), (50, 0.9), (100, 0.5))])
+    """t at the default theta, theta at the default t; pairs of one, of n:m and of text fields."""
+    rows = []
+    for name in ("p1", "p2", "p5", "p7"):
+        bench = Bench(spark, d, name, retrieve=10_000)
+        grid = [(t, 0.5) for t in (10, 50, 100, 1_000, 10_000)] + [(50, theta) for theta in (0.0, 0.3, 0.7, 0.9)]
+        rows += [_quality(bench, t, theta) for t, theta in grid]
+    return _mapping_rows(spark, rows)
 
 
 @query("classify_p1")
