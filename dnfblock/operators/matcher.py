@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from dnfblock.functions.indexing import normalized
+from dnfblock.storage import materialize
 
 T, THETA = 50, 0.5
 
@@ -69,16 +70,21 @@ def top_duplicates(w: DataFrame, t: int = T, strategy: str = "exact") -> DataFra
 
     ``exact`` scores every pair that shares a token. ``prefix`` first takes the t-th score among
     pairs that share a rare token as a bound, then scores only pairs whose rare-token prefixes meet:
-    a pair at the bound or above cannot miss. Both give the same rows.
+    a pair at the bound or above cannot miss. Where rare tokens give fewer than ``t`` pairs, less rare ones
+    join them step by step. Both give the same rows.
     """
     if strategy == "exact":
         return _ranked(_scored(w), t)
     n = w.select("side", "rid").distinct().count()
-    rare = w.where(F.col("df") <= max(2, n // 200))
-    first = _verified(w, _meeting(rare)).agg(F.count("*").alias("n")).first()["n"]
-    if first < t:
-        return _ranked(_scored(w), t)
-    bound = _ranked(_verified(w, _meeting(rare)), t).agg(F.min("score")).first()[0]
+    most = max(2, n // 200)
+    while True:
+        found = materialize(_ranked(_verified(w, _meeting(w.where(F.col("df") <= most))), t), "found")
+        many, bound = found.agg(F.count("*"), F.min("score")).first()
+        if many >= t:
+            break
+        if most >= n:
+            return found
+        most *= 8
     order = Window.partitionBy("side", "rid").orderBy(F.desc("df"), F.desc("token")).rowsBetween(Window.unboundedPreceding, 0)
     prefix = w.withColumn("rest", F.sqrt(F.sum(F.col("w") * F.col("w")).over(order))).where(F.col("rest") >= bound - 1e-6)
     return _ranked(_verified(w, _meeting(prefix)), t)

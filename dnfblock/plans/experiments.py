@@ -27,7 +27,7 @@ STEP = 1 << 24
 
 
 class Bench:
-    def __init__(self, spark: SparkSession, sf_dir: str, name: str, most: int = 700, retrieve: int = 100):
+    def __init__(self, spark: SparkSession, sf_dir: str, name: str, most: int = 1000, retrieve: int = 100):
         self.spark, self.pair, self.most, self.retrieve = spark, datasets.PAIRS[name], most, retrieve
         self._trained: dict[tuple, tuple[DataFrame, DataFrame]] = {}
         self._measured: dict[str, dict] = {}

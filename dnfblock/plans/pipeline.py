@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
+import json
 import time
 from collections.abc import Callable
 from dataclasses import dataclass, field
 from typing import Protocol
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 from dnfblock.functions.indexing import G_FULL
 from dnfblock.operators import blocking, learners, matcher, metrics, search_space, training
@@ -64,8 +65,15 @@ class Model:
         return str(self.scheme)
 
     def save(self, path: str) -> None:
-        with open(path, "w", encoding="utf-8") as f:
-            f.write(self.scheme.to_json())
+        """Scheme, status and mappings as one line of text below ``path``, on any file system that Spark writes."""
+        line = json.dumps({"scheme": self.scheme.to_json(), "status": self.status, "mappings": self.mappings})
+        SparkSession.active().createDataFrame([(line,)], "value string").coalesce(1).write.mode("overwrite").text(path)
+
+    @staticmethod
+    def load(path: str) -> Model:
+        found = json.loads(SparkSession.active().read.text(path).first()[0])
+        mappings = tuple((tuple(a), tuple(b)) for a, b in found["mappings"])
+        return Model(Scheme.from_json(found["scheme"]), found["status"], mappings)
 
 
 @dataclass

@@ -129,3 +129,29 @@ def test_semi_supervised_caps_wide_elements():
     assert chosen(learners.semi_supervised(c, wide)) == [1]
     with pytest.raises(ValueError):
         learners.best_by_brute_force(cover([[1]] * 8, [[]] * 8), 0.5, most=3)
+
+
+def test_model_round_trip(spark, tmp_path):
+    from dnfblock.operators.scheme import Atom, Scheme
+    from dnfblock.plans.pipeline import Model
+
+    scheme = Scheme.of((Atom.simple("token", "a", "b"), Atom.complex("exact", ("a", "c"), ("b",))), Atom.simple("first3", "c", "b"))
+    Model(scheme, "OK", ((("a",), ("b",)),)).save(f"file://{tmp_path}/model")
+    again = Model.load(f"file://{tmp_path}/model")
+    assert (again.scheme, again.status, again.mappings) == (scheme, "OK", ((("a",), ("b",)),))
+
+
+def test_coverage_of_several_runs_is_that_of_each(spark):
+    from dnfblock.operators import search_space
+    from dnfblock.operators.scheme import Atom
+
+    left = spark.createDataFrame([(str(i), [f"v{i % 5}"]) for i in range(20)], "rid string, a array<string>")
+    runs = [[(i, str(i), str(j)) for i, j in ((1, 6), (2, 3), (4, 9))], [(i, str(i), str(j)) for i, j in ((1, 2), (5, 10))]]
+    kind = "tp_id long, l_rid string, r_rid string"
+    elements = [Atom.simple("exact", "a"), Atom.simple("token", "a")]
+    every = spark.createDataFrame([(i + r * 100, a, b) for r, x in enumerate(runs) for i, a, b in x], kind)
+    split = search_space.split_runs(search_space.collect_coverage(every, every, left, left, elements), 2, 100)
+    for cov, rows in zip(split, runs):
+        own = spark.createDataFrame(rows, kind)
+        one = search_space.collect_coverage(own, own, left, left, elements)
+        assert (cov.dups == one.dups).all() and (cov.nondups == one.nondups).all() and cov.evaluations == one.evaluations
