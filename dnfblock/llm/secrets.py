@@ -9,7 +9,7 @@ is reported where its lowest sum, that is its highest entropy, reaches the bound
 class. Candidates that overlap a base span add nothing and are left out.
 
 Defined cases: null is the empty text; offsets count code points and ends are exclusive; a text
-without matches has empty spans and the SHA-256 of the empty string; repeated rows are scanned each;
+without matches has empty spans and the SHA-256 of the empty string; ids may be null; repeated rows are scanned each;
 an empty table gives an empty result; further columns are not read.
 """
 

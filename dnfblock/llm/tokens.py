@@ -12,7 +12,7 @@ carries a small share of all words. Pre-tokens of more than ``long_word`` charac
 place as well, so no key is long.
 
 Defined cases: null is the empty text with 0 tokens; strings of special tokens are ordinary text, as
-the library has it; rows may repeat; an empty table gives an empty result; further columns are not
+the library has it; ids may be null and rows may repeat; an empty table gives an empty result; further columns are not
 read.
 """
 

@@ -347,3 +347,18 @@ def test_secret_plan_is_native(spark):
     df = spark.createDataFrame([(1, "x")], "doc_id long, text string")
     plan = secrets.scan(df)._jdf.queryExecution().executedPlan().toString()
     assert not any(x in plan for x in ("Python", "Arrow", "Pandas"))
+
+
+def test_null_ids_and_repeated_rows(spark):
+    """Rows without an id, and rows that are equal in all columns, are each counted and scanned."""
+    from dnfblock.llm import media
+
+    rows = [(None, "token=abcdef12"), (None, "token=abcdef12"), (None, None), (7, "plain"), (7, "plain")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    sp = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path("piece_bpe_32k.model"))
+    got = sorted((r.doc_id or 0, r.n_bytes, r.n_tokens) for r in tokens.token_counts(df).collect())
+    assert got == sorted((i or 0, len(t or ""), len(sp.encode(t or ""))) for i, t in rows)
+    got = sorted((r.doc_id or 0, r.n_assign, r.spans) for r in secrets.scan(df).collect())
+    assert got == [(0, 0, ""), (0, 1, "assign:0:14"), (0, 1, "assign:0:14"), (7, 0, ""), (7, 0, "")]
+    got = sorted((r.doc_id or 0, r.n_bytes) for r in media.media_columns(df).collect())
+    assert got == [(0, 0), (0, 14), (0, 14), (7, 5), (7, 5)]
