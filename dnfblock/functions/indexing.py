@@ -100,7 +100,7 @@ def _within_one(x: Column) -> Column:
 
 def _round10(x: Column) -> Column:
     short = F.filter(integers(x), lambda d: F.length(d) <= 18)
-    return F.array_distinct(F.transform(short, lambda d: F.floor(d.cast("long") / 10).cast("string")))
+    return F.array_distinct(F.transform(short, lambda d: F.call_function("div", d.cast("long"), F.lit(10)).cast("string")))
 
 
 def _per_token(code: Callable[[Column], Column]) -> Callable[[Column], Column]:

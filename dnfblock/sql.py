@@ -7,12 +7,37 @@ from collections.abc import Iterator
 from pyspark.sql import Row, SparkSession
 from pyspark.sql.functions import udtf
 
-#: Bodies of the SQL functions; each is one expression over ``x``.
+_NORM = "trim(regexp_replace(lower(x), '[^a-z0-9]+', ' '))"
+_ALL = f"filter(split({_NORM}, ' '), t -> t <> '')"
+_NONE = "cast(array() AS ARRAY<STRING>)"
+_SHORT = "filter(bkv_common_int(x), d -> length(d) <= 18)"
+
+
+def _cut(side: str, n: int) -> str:
+    return f"CASE WHEN length({_NORM}) >= {n} THEN array({side}({_NORM}, {n})) ELSE {_NONE} END"
+
+
+def _runs(many: str, n: int, part: str) -> str:
+    return f"CASE WHEN {many} >= {n} THEN array_distinct(transform(sequence(1, {many} - {n - 1}), i -> {part})) ELSE {_NONE} END"
+
+
+#: Bodies of the SQL functions; each is one expression over ``x``. The phonetic codes but Soundex have none.
 KEY_FUNCTIONS = {
-    "bkv_token": "array_distinct(filter(split(trim(regexp_replace(lower(x), '[^a-z0-9]+', ' ')), ' '), t -> t <> ''))",
-    "bkv_exact": "filter(array(trim(regexp_replace(lower(x), '[^a-z0-9]+', ' '))), t -> t <> '')",
+    "bkv_token": f"array_distinct({_ALL})",
+    "bkv_raw_token": r"array_distinct(filter(split(x, '\\s+'), t -> t <> ''))",
+    "bkv_exact": f"filter(array({_NORM}), t -> t <> '')",
     "bkv_common_int": "array_distinct(transform(regexp_extract_all(x, '[0-9]+', 0), d -> regexp_replace(d, '^0+(?=[0-9])', '')))",
+    "bkv_int_pm1": f"array_distinct(flatten(transform({_SHORT}, d -> array(cast(cast(d AS BIGINT) AS STRING), cast(cast(d AS BIGINT) + 1 AS STRING)))))",
+    "bkv_round10": f"array_distinct(transform({_SHORT}, d -> cast(cast(d AS BIGINT) div 10 AS STRING)))",
+    "bkv_first_digit": f"CASE WHEN x rlike '^[0-9]' THEN array(left(x, 1)) ELSE {_NONE} END",
+    "bkv_first_sig_digits2": "array_distinct(transform(bkv_common_int(x), d -> left(d, 2)))",
+    "bkv_token_prefix3": "array_distinct(transform(bkv_token(x), t -> left(t, 3)))",
+    "bkv_token_sorted": f"filter(array(array_join(array_sort({_ALL}), '')), t -> t <> '')",
     "bkv_soundex": "array_distinct(transform(filter(bkv_token(x), t -> t rlike '^[a-z]+$'), t -> soundex(t)))",
+    "bkv_last3": _cut("right", 3),
+    **{f"bkv_first{n}": _cut("left", n) for n in (1, 3, 5, 7)},
+    **{f"bkv_qgram{q}": _runs(f"length({_NORM})", q, f"substring({_NORM}, i, {q})") for q in (2, 3, 4)},
+    **{f"bkv_token_ng{n}": _runs(f"size({_ALL})", n, f"array_join(slice({_ALL}, i, {n}), ' ')") for n in (2, 4, 6)},
 }
 
 

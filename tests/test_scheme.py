@@ -122,3 +122,18 @@ def test_metaphones_in_atoms_terms_and_coverage(spark):
     cov = search_space.collect_coverage(pairs, pairs.where("tp_id = 2"), left, right, search_space.atoms(G_FULL, ((("a",), ("a",)),)))
     at = G_FULL.index("double_metaphone")
     assert cov.dups[at].tolist() == [True, False] and cov.nondups[at].tolist() == [False]
+
+
+def test_sql_functions_equal_indexing_functions(spark):
+    from pyspark.sql import functions as F
+
+    from dnfblock import sql
+    from dnfblock.functions.indexing import REGISTRY
+
+    sql.register(spark)
+    texts = ["Mary had 007 little-lambs, 12 of them!", "", " ", "9", "x", "00", "999999999999999999 1234567890123456789", "É naïve  a b c d e f g", "a\tb\nc  D", "12.50"]
+    df = spark.createDataFrame([(t,) for t in texts], "x string")
+    for name in sql.KEY_FUNCTIONS:
+        rows = df.select("x", F.expr(f"{name}(x)").alias("a"), REGISTRY[name[4:]].keys(F.col("x")).alias("b")).collect()
+        assert all(sorted(r.a) == sorted(r.b) for r in rows), (name, rows)
+    assert spark.sql("SELECT gbp_round10('15', 'no 19'), gbp_round10('9007199254740993', '9007199254740989')").first() == (True, False)
