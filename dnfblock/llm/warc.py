@@ -8,7 +8,9 @@ as streams, by Content-Length. Assembly meets the three records of a capture on
 WARC-Concurrent-To gives, in one grouping rather than two joins, and carries no payload unless asked.
 
 Payloads of ``least_revisit`` bytes or more that are equal (SHA-1 and length) are stored once, by the
-row with the largest page id; the others revisit it.
+row with the largest page id; the others revisit it. The holders come from narrow rows, collapsed before
+they are shuffled. A payload of more than one in ``HOT`` of all rows is hot: there are fewer than ``HOT``
+such, so their holders are broadcast, and their rows are dealt by themselves instead of by their digest.
 
 Defined cases: null html is empty; equal rows (same id and payload) are all responses if they hold
 the largest id; a null id never holds a payload that another row can hold; line breaks in a url are
@@ -25,17 +27,18 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dnfblock.storage import new_path
+from dnfblock.storage import materialize, new_path
 
 END = "\r\n\r\n"
 LEAST_REVISIT = 1000
+HOT = 2048
 FILE_BYTES = 32 << 20
 DATE = "2024-01-01T00:00:00Z"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
 
 def holders(pages: DataFrame, id_col: str, body_col: str, least: int = LEAST_REVISIT) -> DataFrame:
-    """``h_digest, h_bytes, h_id, h_row``: for payloads with copies, the row that stores them."""
+    """``h_digest, h_bytes, h_id, h_row, h_rows``: for payloads with copies, the row that stores them, and how many have them."""
     rows = pages.select(
         F.sha1(F.coalesce(body_col, F.lit(""))).alias("h_digest"),
         F.octet_length(F.coalesce(body_col, F.lit(""))).alias("h_bytes"),
@@ -43,7 +46,22 @@ def holders(pages: DataFrame, id_col: str, body_col: str, least: int = LEAST_REV
     )
     rows = rows.where(F.col("h_bytes") >= least).groupBy("h_digest", "h_bytes")
     rows = rows.agg(F.max("one").alias("one"), F.count("*").alias("n")).where("n > 1")
-    return rows.select("h_digest", "h_bytes", F.col("one.id").alias("h_id"), F.col("one.row").alias("h_row"))
+    return rows.select("h_digest", "h_bytes", F.col("one.id").alias("h_id"), F.col("one.row").alias("h_row"), F.col("n").alias("h_rows"))
+
+
+def with_holders(rows: DataFrame, held: DataFrame, hot: int) -> DataFrame:
+    """``rows`` (``digest, n, row, …``) and ``h_digest, h_id, h_row`` of their holder, null where a payload has no copy.
+
+    Payloads of more than ``hot`` rows are looked up in a broadcast table; their rows meet nothing in the join
+    that follows, and go to the tasks that a hash of the row itself gives.
+    """
+    few = held.where(F.col("h_rows") > hot).select(*(F.col(f"h_{c}").alias(f"b_{c}") for c in ("digest", "bytes", "id", "row")))
+    rows = rows.join(F.broadcast(few), (rows["digest"] == few["b_digest"]) & (rows["n"] == few["b_bytes"]), "left")
+    own = F.when(F.col("b_digest").isNull(), F.col("digest")).otherwise(F.concat(F.lit("row "), F.col("row").cast("string")))
+    rest = held.where(F.col("h_rows") <= hot).drop("h_rows")
+    rows = rows.withColumn("__key", own).join(rest, (F.col("__key") == rest["h_digest"]) & (F.col("n") == rest["h_bytes"]), "left")
+    found = {f"h_{c}": F.coalesce(f"b_{c}", f"h_{c}") for c in ("digest", "id", "row")}
+    return rows.withColumns(found).drop("__key", "h_bytes", "b_digest", "b_bytes", "b_id", "b_row")
 
 
 def _record(kind: str | Column, identifier: Column, block: Column, content: str, *fields: Column) -> Column:
@@ -56,7 +74,7 @@ def _record(kind: str | Column, identifier: Column, block: Column, content: str,
 
 def write_archives(pages: DataFrame, path: str, id_col: str = "page_id", url_col: str = "url", body_col: str = "html", least: int = LEAST_REVISIT) -> None:
     """Write the records of every row of ``pages`` to gzip files below ``path``."""
-    held = holders(pages, id_col, body_col, least)
+    held = materialize(holders(pages, id_col, body_col, least), "holders")
     size = pages.agg(F.count("*"), F.coalesce(F.sum(F.octet_length(body_col)), F.lit(0))).first()
     mean = 1500 + (size[1] / size[0] if size[0] else 0)
     rows = pages.select(
@@ -65,7 +83,7 @@ def write_archives(pages: DataFrame, path: str, id_col: str = "page_id", url_col
         F.coalesce(pages[body_col], F.lit("")).alias("body"),
         F.monotonically_increasing_id().alias("row"),
     ).withColumns({"digest": F.sha1("body"), "n": F.octet_length("body")})
-    rows = rows.join(held, (rows["digest"] == held["h_digest"]) & (rows["n"] == held["h_bytes"]), "left")
+    rows = with_holders(rows, held, size[0] // HOT)
     revisit = F.col("h_digest").isNotNull() & ~F.col("id").eqNullSafe(F.col("h_id"))
     name = lambda i, r, kind: F.concat(
         F.lit("<urn:capture:"), F.coalesce(i.cast("string"), F.lit("none")), F.lit(":"), r, F.lit(f":{kind}>")

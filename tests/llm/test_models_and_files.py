@@ -298,6 +298,18 @@ def test_captures(spark):
     assert sum(r["count"] for r in repeated) == 2 * len(PAGES)
 
 
+@pytest.mark.parametrize("hot", [0, 2, 10**9])
+def test_hot_payloads_find_the_same_holders(spark, hot):
+    df = spark.createDataFrame([(*p, "k") for p in PAGES], "page_id long, url string, html string, extra string")
+    held = warc.holders(df, "page_id", "html")
+    rows = df.select(F.col("page_id").alias("id"), F.coalesce("html", F.lit("")).alias("body"), F.monotonically_increasing_id().alias("row"))
+    rows = rows.withColumns({"digest": F.sha1("body"), "n": F.octet_length("body")})
+    got = warc.with_holders(rows, held, hot)
+    assert got.columns[:5] == ["id", "body", "row", "digest", "n"]
+    assert sorted((r.id, r.h_id) for r in got.where("h_digest IS NOT NULL").collect()) == [(3, 9), (4, 9), (7, 8), (8, 8), (9, 9)]
+    assert got.count() == len(PAGES)
+
+
 def test_assembled_rows_are_nested(spark):
     df = spark.createDataFrame(PAGES, "page_id long, url string, html string")
     path = storage.new_path(spark, "warc-test")
