@@ -13,6 +13,10 @@ from pyspark.sql import functions as F
 
 from dnfblock.operators.scheme import Scheme
 
+#: A key of more than one in so many rows of keys is hot; there are fewer than this many such keys.
+HOT = 2048
+HOT_SALTS = 32
+
 
 def keyed(df: DataFrame, scheme: Scheme, side: int) -> DataFrame:
     """``rid, keys``: all keys of a record as "term<separator>key", sorted; one narrow pass."""
@@ -47,12 +51,40 @@ def gamma_upper_bound(left: DataFrame, right: DataFrame, scheme: Scheme) -> int:
     return int(block_sizes(left, right, scheme).agg(F.coalesce(F.sum(F.col("comparisons").cast("decimal(38,0)")), F.lit(0))).first()[0])
 
 
+def gamma_sketches(left: DataFrame, right: DataFrame, scheme: Scheme, lg: int = 14) -> DataFrame:
+    """``term_id, sketch``: a HyperLogLog sketch of the candidate pairs of every term that covers any.
+
+    Pairs are hashed where they meet, so that nothing but sketches of 2^``lg`` registers at most is shuffled for them.
+    Sketches of further records can be merged with these.
+    """
+    a = index(left, scheme, 0).select("term_id", "key", F.col("rid").alias("l_rid"))
+    b = index(right, scheme, 1).select("term_id", "key", F.col("rid").alias("r_rid"))
+    pairs = a.join(b, ["term_id", "key"]).select("term_id", F.xxhash64("l_rid", "r_rid").alias("pair"))
+    return pairs.groupBy("term_id").agg(F.hll_sketch_agg("pair", lg).alias("sketch"))
+
+
+def gamma_estimate(sketches: DataFrame) -> DataFrame:
+    """``gamma``: about how many distinct pairs the merged sketches have seen (relative deviation about 0.8 / sqrt(2^lg))."""
+    return sketches.agg(F.coalesce(F.hll_sketch_estimate(F.hll_union_agg("sketch", F.lit(True))), F.lit(0)).alias("gamma"))
+
+
 def purged_keys(left: DataFrame, right: DataFrame, scheme: Scheme, max_pairs: int) -> DataFrame:
     """``k``: the keys of blocks that stand for more than ``max_pairs`` comparisons."""
     sizes = block_sizes(left, right, scheme).where(F.col("comparisons") > max_pairs)
     return sizes.select(F.concat(F.lpad(F.col("term_id").cast("string"), 4, "0"), F.lit(":"), "key").alias("k"))
 
 
+def hot_keys(left: DataFrame, right: DataFrame) -> DataFrame:
+    """``k``: keys of more than one in ``HOT`` of all rows of keys on either side, so fewer than ``2 * HOT``."""
+    found = None
+    for rows in (left, right):
+        sizes = rows.groupBy("k").agg(F.count("*").alias("n"))
+        total = sizes.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+        hot = sizes.where(F.col("n") > total / HOT).select("k")
+        found = hot if found is None else found.unionByName(hot).distinct()
+    return found
+
+
 def candidates(
     left: DataFrame,
     right: DataFrame,
@@ -60,7 +92,7 @@ def candidates(
     *,
     dedup: str = "min_key",
     namespaced: bool = True,
-    salts: int = 1,
+    salts: int | str = 1,
     max_block_pairs: int | None = None,
     self_pairs: bool = False,
     single_key: bool = False,
@@ -68,7 +100,8 @@ def candidates(
     """``l_rid, r_rid``: the distinct candidate pairs of ``scheme``.
 
     ``namespaced=False`` lets blocks of different terms with the same key value meet. ``salts`` deals
-    the left rows of every block to that many tasks, each with all right rows of the block.
+    the left rows of every block to that many tasks, each with all right rows of the block; ``"auto"`` counts
+    the blocks first and does so with hot keys only, for sessions whose adaptive skew join is off.
     ``max_block_pairs`` purges larger blocks, before the smallest shared key is looked for.
     ``single_key`` puts a record in its smallest block only, as hashing would.
     """
@@ -89,10 +122,17 @@ def candidates(
     out = []
     for s, name in zip(sides, "lr"):
         carried = ["rid", "keys"] if dedup == "min_key" else ["rid"]
-        rows = s.select(*(F.col(c).alias(f"{name}_{c}") for c in carried), F.explode("keys").alias("k"))
-        salt = F.pmod(F.xxhash64(f"{name}_rid"), F.lit(salts)).cast("int") if name == "l" else F.explode(F.sequence(F.lit(0), F.lit(salts - 1)))
-        out.append(rows.withColumn("salt", salt) if salts > 1 else rows)
-    pairs = out[0].join(out[1], ["k", "salt"] if salts > 1 else "k")
+        out.append(s.select(*(F.col(c).alias(f"{name}_{c}") for c in carried), F.explode("keys").alias("k")))
+    if salts != 1:
+        many = F.lit(salts)
+        if salts == "auto":
+            hot = hot_keys(*out).withColumn("many", F.lit(HOT_SALTS))
+            out = [rows.join(F.broadcast(hot), "k", "left") for rows in out]
+            many = F.coalesce("many", F.lit(1))
+        own = F.pmod(F.xxhash64("l_rid"), many).cast("int")
+        out = [out[0].withColumn("salt", own), out[1].withColumn("salt", F.explode(F.sequence(F.lit(0), (many - 1).cast("int"))))]
+        out = [rows.drop("many") for rows in out]
+    pairs = out[0].join(out[1], ["k", "salt"] if salts != 1 else "k")
     if self_pairs:
         pairs = pairs.where("l_rid < r_rid")
     if dedup == "min_key":

@@ -43,6 +43,7 @@ _candidates(
     namespaced=False,
 )
 _candidates("candidates_salted_p6", P6, S6, _found(P6, S6), salts=4)
+_candidates("candidates_auto_salted_p6", P6, S6, _found(P6, S6), salts="auto")
 _candidates("candidates_p3", P3, S3, _found(P3, S3))
 
 
@@ -106,6 +107,16 @@ def gamma_upper_bound_p1(spark, d):
     return spark.createDataFrame([(blocking.gamma_upper_bound(left, right, S1),)], "bound long")
 
 
+@query("gamma_sketch_p6", f"{twins.candidate_ctes(P6, S6)} SELECT (SELECT count(*) FROM c) AS gamma, count(DISTINCT lk.term) AS terms, true AS close FROM lk JOIN rk USING (term, key)")
+def gamma_sketch_p6(spark, d):
+    """The exact number of candidates, and whether the estimate from merged sketches is within 5 % of it."""
+    left, right, _ = datasets.load(spark, d, P6)
+    sketches = blocking.gamma_sketches(left, right, S6)
+    about, terms = blocking.gamma_estimate(sketches).first()[0], sketches.count()
+    exact = blocking.candidates(left, right, S6).agg(F.count("*").alias("gamma"))
+    return exact.select("gamma", F.lit(terms).cast("long").alias("terms"), (F.abs(F.lit(about) - F.col("gamma")) <= 0.05 * F.col("gamma")).alias("close"))
+
+
 @query("purged_blocks_p6", _sizes(P6, PLAIN6) + f""", c AS (SELECT DISTINCT lk.rid AS l_rid, rk.rid AS r_rid FROM lk JOIN rk USING (term, key) JOIN b USING (term, key) WHERE comparisons <= {BUDGET})
     SELECT (SELECT count(*) FROM b WHERE comparisons <= {BUDGET}) AS kept_blocks, (SELECT count(*) FROM b WHERE comparisons > {BUDGET}) AS dropped_blocks,
     (SELECT count(*) FROM c) AS kept_pairs, (SELECT count(*) FROM truth t WHERE NOT EXISTS (SELECT 1 FROM c WHERE c.l_rid = t.l_rid AND c.r_rid = t.r_rid)) AS lost_truth""")
@@ -227,19 +238,44 @@ def block_cube_p6(spark, d):
     return x.cube("kind", "band").agg(F.count("*").alias("n")).select(F.coalesce("kind", F.lit("ALL")).alias("kind"), F.coalesce("band", F.lit("ALL")).alias("band"), "n")
 
 
-@query("self_blocking_documents", """SELECT a.doc_id AS l, b.doc_id AS r FROM documents a JOIN documents b ON a.text = b.text AND a.doc_id < b.doc_id""")
+@query("self_blocking_documents", """SELECT doc_id, class_id, class_size FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY text) AS class_id,
+    count(*) OVER (PARTITION BY text) AS class_size FROM documents WHERE text IS NOT NULL) WHERE class_size > 1""")
 def self_blocking_documents(spark, d):
-    # copies of a text share the one key that their whole text is; the hash is compared before the text
-    docs = table(spark, d, "documents").select("doc_id", F.xxhash64("text").alias("h"), "text")
-    a = docs.select(F.col("doc_id").alias("l"), "h", F.col("text").alias("t1"))
-    b = docs.select(F.col("doc_id").alias("r"), "h", F.col("text").alias("t2"))
-    return a.join(b, "h").where("l < r AND t1 = t2").select("l", "r")
+    """Copies share the one key that their whole text is: a class and its representative a document, not all pairs."""
+    docs = table(spark, d, "documents").where("text IS NOT NULL").select("doc_id", F.sha2("text", 256).alias("key"))
+    classes = docs.groupBy("key").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("class_size")).where("class_size > 1")
+    return docs.join(classes, "key").select("doc_id", "class_id", "class_size")
 
 
 _WORDS = "list_filter(string_split(" + twins.norm("text") + ", ' '), lambda t: t <> '')"
 _SIX = "SELECT {id} AS id, unnest(list_distinct(list_transform(range(1, len(w) - 4), lambda i: array_to_string(w[i:i + 5], ' ')))) AS k FROM (SELECT {id}, " + _WORDS + " AS w FROM {t}) WHERE len(w) >= 6"
 
 
+NEAR = Scheme.of(Atom.simple("token_ng6", "text"))
+_SETS = f"SELECT doc_id, list_sort({twins.keys('token', 'text')}) AS w FROM documents"
+
+
+@query("near_dup_pc_documents", f"""WITH s AS ({_SETS}), e AS (SELECT min(doc_id) AS doc_id, w FROM s WHERE len(w) > 0 GROUP BY w),
+    u AS (SELECT doc_id, len(w) AS n, unnest(w) AS x FROM e),
+    t AS (SELECT a.doc_id AS l, b.doc_id AS r FROM u a JOIN u b ON a.x = b.x AND a.doc_id < b.doc_id
+    GROUP BY a.doc_id, b.doc_id, a.n, b.n HAVING 10 * count(*) >= 7 * (a.n + b.n - count(*))),
+    k AS (SELECT doc_id, {twins.keys('token_ng6', 'text')} AS g FROM documents WHERE doc_id IN (SELECT l FROM t UNION SELECT r FROM t))
+    SELECT CAST(coalesce(sum(CASE WHEN list_has_any(x.g, y.g) THEN 1 ELSE 0 END), 0) AS BIGINT) AS pc_num, count(*) AS pc_den
+    FROM t JOIN k x ON x.doc_id = t.l JOIN k y ON y.doc_id = t.r""")
+def near_dup_pc_documents(spark, d):
+    """Pairs completeness of six-token runs on texts whose word sets are near (Jaccard of 0.7 or more).
+
+    A word set is stood for by its smallest id, so copies make no pairs.
+    """
+    from dnfblock.functions.indexing import tokens
+    from dnfblock.operators.near_sets import near_pairs
+
+    docs = table(spark, d, "documents").select(F.col("doc_id").alias("rid"), F.array("text").alias("text"), tokens(F.col("text")).alias("w"))
+    truth = near_pairs(docs, 7, 10)
+    both = docs.select("rid", "text")
+    return metrics.pairs_completeness_direct(NEAR, truth, both, both).select(F.coalesce("found", F.lit(0)).alias("pc_num"), F.col("truth").alias("pc_den"))
+
+
 @query("bench_contamination_blocks", f"""WITH b AS ({_SIX.format(id='item_id', t='benchmark')}), d AS ({_SIX.format(id='doc_id', t='documents')}),
     c AS (SELECT DISTINCT b.id AS item_id, d.id AS doc_id FROM b JOIN d USING (k))
     SELECT c.item_id, c.doc_id, contains(d.text, i.text) AS covered FROM c JOIN benchmark i ON i.item_id = c.item_id JOIN documents d ON d.doc_id = c.doc_id""")

@@ -39,14 +39,27 @@ def test_entities_of_mixed_types(spark):
         pt.to_entities(spark.sql("select 1 id, cast('a' as binary) v"), "id", ["v"])
 
 
-def test_ntriples_round_trip(spark, tmp_path):
-    rows = [("s1", "p", 'say "hi"\n\\', False), ("s1", "q", "urn:x", True)]
+@pytest.mark.parametrize("part_bytes", [1_000, 1 << 20])
+def test_ntriples_round_trip(spark, tmp_path, part_bytes):
+    texts = ['say "hi"\n\\', "a\\nb", "\\\\u0041", "\r\n\t\b\f", "é😀'", "", "x" * 50_000, "\\" * 5]
+    rows = [(f"s{i}", "p", t, False) for i, t in enumerate(texts)] + [("s1", "q", "urn:x", True), ("_:b", "q", "_:c", True)]
     df = spark.createDataFrame(rows, "s string, p string, o string, o_is_uri boolean")
     path = f"{tmp_path}/nt"
     tr.write_ntriples(df, path)
     assert sorted(map(tuple, tr.read_ntriples(spark, path).collect())) == sorted(rows)
     spark.dataSource.register(tr.NTriplesSource)
-    assert sorted(map(tuple, spark.read.format("ntriples").load(path).collect())) == sorted(rows)
+    read = spark.read.format("ntriples").option("part_bytes", part_bytes)
+    assert sorted(map(tuple, read.load(path).collect())) == sorted(rows)
+    assert sorted(map(tuple, read.load(f"file://{path}").collect())) == sorted(rows)
+
+
+def test_ntriples_odd_lines(spark, tmp_path):
+    (tmp_path / "odd").write_text('# note\n\n<s> <p> "\\u00e9\\U0001F600\\\\u0041"@en . # end\n_:b <p> _:c.\n<s> <p> "1"^^<int> .')
+    rows = [("_:b", "p", "_:c", True), ("s", "p", "1", False), ("s", "p", "é😀\\u0041", False)]
+    assert sorted(map(tuple, tr.read_ntriples(spark, f"{tmp_path}/odd").collect())) == rows
+    spark.dataSource.register(tr.NTriplesSource)
+    for parts in (1, 3, 40, 1000):
+        assert sorted(map(tuple, spark.read.format("ntriples").option("part_bytes", parts).load(f"{tmp_path}/odd").collect())) == rows
     (tmp_path / "bad").write_text("# note\n\nno triple\n")
     with pytest.raises(Exception, match="no triple"):
         tr.read_ntriples(spark, f"{tmp_path}/bad").collect()
@@ -81,3 +94,19 @@ def test_index_is_kept_by_term(spark, tmp_path):
     tr.write_index(blocking.index(df, s, 0), f"{tmp_path}/ix")
     back = spark.read.parquet(f"{tmp_path}/ix")
     assert back.where("term_id = 0").count() == 3 and back.where("term_id = 1").count() == 2
+
+
+def test_saved_indices_meet_without_a_shuffle(spark):
+    from dnfblock.operators import blocking
+    from dnfblock.operators.scheme import Atom, Scheme
+
+    df = spark.createDataFrame([("a", ["red oak"]), ("b", ["oak"]), ("c", ["elm"])], "rid string, v array<string>")
+    rows = blocking.index(df, Scheme.of(Atom.simple("token", "v")), 0)
+    spark.sql("DROP TABLE IF EXISTS ix_l"), spark.sql("DROP TABLE IF EXISTS ix_r")
+    a, b = tr.save_index(rows, "ix_l", 4), tr.save_index(rows, "ix_r", 4)
+    met = a.hint("merge").join(b.withColumnRenamed("rid", "other"), ["term_id", "key"])
+    plan = met._jdf.queryExecution().executedPlan().toString()
+    pairs = sorted((r.rid, r.other) for r in met.collect())
+    spark.sql("DROP TABLE ix_l"), spark.sql("DROP TABLE ix_r")
+    assert "SortMergeJoin" in plan and "Exchange" not in plan
+    assert pairs == [("a", "a"), ("a", "a"), ("a", "b"), ("b", "a"), ("b", "b"), ("c", "c")]

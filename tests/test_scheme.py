@@ -137,3 +137,39 @@ def test_sql_functions_equal_indexing_functions(spark):
         rows = df.select("x", F.expr(f"{name}(x)").alias("a"), REGISTRY[name[4:]].keys(F.col("x")).alias("b")).collect()
         assert all(sorted(r.a) == sorted(r.b) for r in rows), (name, rows)
     assert spark.sql("SELECT gbp_round10('15', 'no 19'), gbp_round10('9007199254740993', '9007199254740989')").first() == (True, False)
+
+
+@pytest.mark.parametrize("num, den", [(7, 10), (8, 10), (1, 2), (1, 1)])
+def test_near_sets_equal_brute_force(spark, num, den):
+    from dnfblock.operators.near_sets import near_pairs
+
+    draw = random.Random(num)
+    base = [[f"w{draw.randrange(40)}" for _ in range(draw.randrange(1, 25))] for _ in range(40)]
+    near = [[w for w in b if draw.random() > 0.1] + ["z"] * draw.randrange(2) for b in base for _ in range(3)]
+    rows = [(f"{i:03d}", w) for i, w in enumerate(base + near + [[], None, ["q"], ["q", "q"]])]
+    got = near_pairs(spark.createDataFrame(rows, "rid string, w array<string>"), num, den).collect()
+    least = {}
+    for rid, w in rows:
+        if w:
+            least.setdefault(frozenset(w), rid)
+    sets = sorted((rid, w) for w, rid in least.items())
+    wanted = [(a, b) for i, (a, x) in enumerate(sets) for b, y in sets[i + 1 :] if len(x & y) * den >= len(x | y) * num]
+    assert sorted(map(tuple, got)) == wanted
+    assert (num == den) == (not wanted)
+
+
+def test_gamma_sketches_merge(spark):
+    left = spark.createDataFrame([(f"l{i}", [f"k{i % 50}", f"j{i % 7}"]) for i in range(300)], "rid string, v array<string>")
+    right = spark.createDataFrame([(f"r{i}", [f"k{i % 40}", f"j{i % 9}"]) for i in range(200)], "rid string, v array<string>")
+    s = Scheme.of(Atom.simple("token", "v"), Atom.simple("exact", "v"))
+    exact = blocking.candidates(left, right, s).count()
+    once = blocking.gamma_sketches(left, right, s)
+    assert abs(blocking.gamma_estimate(once).first()[0] - exact) <= 0.05 * exact
+    halves = [blocking.gamma_sketches(left.where(f"int(substr(rid, 2)) % 2 = {i}"), right, s, 12) for i in (0, 1)]
+    both = halves[0].unionByName(halves[1]).unionByName(once)  # sketches of other sizes merge too
+    assert abs(blocking.gamma_estimate(both).first()[0] - exact) <= 0.05 * exact
+    assert blocking.gamma_estimate(once.limit(0)).first()[0] == 0
+    for salts in (3, "auto"):
+        assert blocking.candidates(left, right, s, salts=salts).exceptAll(blocking.candidates(left, right, s)).isEmpty()
+        assert blocking.candidates(left, right, s, salts=salts).count() == exact
+    assert {r.k for r in blocking.hot_keys(*(blocking.keyed(d, s, i).select(F.explode("keys").alias("k")) for i, d in enumerate((left, right)))).collect()}

@@ -2,6 +2,8 @@ import datetime as dt
 import json
 
 import pandas as pd
+import pytest
+from pyspark.sql import functions as F
 
 from dnfblock.operators import blocking
 from dnfblock.operators.scheme import Atom, Scheme
@@ -102,5 +104,33 @@ def test_sql_surface(spark):
 
     sql.register(spark)
     assert spark.sql("SELECT gbp_token('Red oak', 'oak tree') a, gbp_token('x', 'y') b, gbp_soundex('Robert', 'rupert') c, gbp_common_int('no 07', '7') e").first()[:] == (True, False, True, True)
-    spark.createDataFrame([("r1", "Red oak")], "rid string, v string").createOrReplaceTempView("udtf_in")
-    assert [tuple(r) for r in spark.sql("SELECT * FROM block_keys(TABLE(udtf_in), 'v') ORDER BY key").collect()] == [("r1", "oak"), ("r1", "red")]
+
+
+def test_table_functions(spark):
+    from dnfblock import sql
+    from dnfblock.operators import blocking
+    from dnfblock.operators.scheme import Atom, Scheme
+
+    sql.register(spark)
+    rows = [("r1", ["Red oak 007", "OAK-tree"], "12 b"), ("r2", [], None), ("r3", None, "x 7 é"), ("r4", ["", "a b c d e f g"], "07")]
+    df = spark.createDataFrame(rows, "rid string, v array<string>, w string")
+    df.createOrReplaceTempView("udtf_in")
+    as_sets = df.withColumn("w", F.filter(F.array("w"), lambda x: x.isNotNull()))
+    for gbp in sql.PYTHON_KEYS:
+        scheme = Scheme.of(Atom.simple(gbp, "v"), (Atom.complex(gbp, ("v", "w"), ("w",)), Atom.simple("token", "w")))
+        for side in (0, 1) if gbp == "token" else (0,):
+            made = spark.sql("SELECT * FROM block_keys(TABLE(udtf_in), '" + scheme.to_json() + f"', {side})")
+            wanted = blocking.index(as_sets, scheme, side).select("term_id", "key", "rid")
+            assert sorted(map(tuple, made.collect())) == sorted(map(tuple, wanted.collect())), gbp
+    with pytest.raises(Exception, match="no key function"):
+        spark.sql("SELECT * FROM block_keys(TABLE(udtf_in), '" + Scheme.of(Atom.simple("soundex", "v")).to_json() + "', 0)").collect()
+
+
+def test_property_table_function(spark):
+    from dnfblock import sql
+
+    sql.register(spark)
+    rows = [("a", "p", "2"), ("a", "p", "1"), ("a", "q", "x"), ("a", "p", "1"), ("b", "q", None), ("c", "q", "z")]
+    spark.createDataFrame(rows, "s string, p string, o string").createOrReplaceTempView("udtf_triples")
+    got = spark.sql("SELECT * FROM property_table(TABLE(udtf_triples) PARTITION BY s)").collect()
+    assert sorted(map(tuple, got)) == [("a", "p", ["1", "2"]), ("a", "q", ["x"]), ("c", "q", ["z"])]
