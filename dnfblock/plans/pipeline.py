@@ -59,7 +59,7 @@ class Model:
         return blocking.index(df, self.scheme, side)
 
     def metrics(self, left: DataFrame, right: DataFrame, truth: DataFrame) -> DataFrame:
-        return metrics.blocking_metrics(self.candidates(left, right), truth, left, right)
+        return metrics.scheme_metrics(self.scheme, truth, left, right)
 
     def explain(self) -> str:
         return str(self.scheme)

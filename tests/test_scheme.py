@@ -79,6 +79,35 @@ def test_plans_agree_with_all_pairs(spark, seed):
     assert set(purged) <= set(expected) and len(set(purged)) == len(purged)
 
 
+@pytest.mark.parametrize("seed, most", [(0, 8), (1, 3), (2, 0)])
+def test_counted_candidates_equal_all_pairs(spark, monkeypatch, seed, most):
+    from collections import Counter
+
+    monkeypatch.setattr(blocking, "MOST_KEYS", most)
+    rng = random.Random(seed)
+    word = lambda: rng.choice(["red oak", "red", "oak 12", "pine 13", "13 pine", "elm", "Elm 012", "", "birch-bark", "12"])
+    side = lambda n: spark.createDataFrame([(f"{n}{i:02d}", [word() for _ in range(rng.randrange(3))], [word()] if rng.random() < 0.8 else None) for i in range(18)], "rid string, p array<string>, q array<string>")
+    left, right = side("l"), side("r")
+    atom = lambda: Atom(rng.choice(["exact", "token", "qgram2", "int_pm1", "first3"]), tuple(rng.sample(["p", "q"], rng.randrange(1, 3))), tuple(rng.sample(["p", "q"], rng.randrange(1, 3))))
+    s = Scheme(tuple(tuple(atom() for _ in range(rng.randrange(1, 3))) for _ in range(rng.randrange(1, 4))))
+    pairs = [tuple(r) for r in blocking.covered_pairs_bruteforce(left, right, s).collect()]
+    assert blocking.count_candidates(left, right, s).first()[0] == len(pairs)
+    many = [Counter(p[i] for p in pairs) for i in (0, 1)]
+    for found in (blocking.links(left, right, s).collect(), blocking.verified_links(left, right, s).collect()):
+        assert {(r.side, r.rid): r.links for r in found} == {(i, f"{'lr'[i]}{k:02d}"): many[i][f"{'lr'[i]}{k:02d}"] for i in (0, 1) for k in range(18)}
+        assert len(found) == 36 and all(r.class_id <= r.rid for r in found)
+    truth = spark.createDataFrame([(f"l{i:02d}", f"r{i:02d}") for i in range(18)], "l_rid string, r_rid string")
+    want = metrics.blocking_metrics(spark.createDataFrame(pairs, truth.schema), truth, left, right).first()
+    assert metrics.scheme_metrics(s, truth, left, right).first() == want
+
+
+def test_counted_candidates_plan_joins_no_pairs(spark, people):
+    """Neither side meets the other: both are summed by subset of keys, in one aggregate."""
+    s = Scheme.of(Atom.simple("exact", "last"), Atom.simple("soundex", "first"))
+    plan = blocking.count_candidates(people, people, s)._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan
+
+
 def test_candidate_plan_has_no_loop_and_no_python(spark, people):
     s = Scheme.of(Atom.simple("token", "last"), Atom.simple("soundex", "first"))
     plan = blocking.candidates(people, people, s)._jdf.queryExecution().executedPlan().toString()
