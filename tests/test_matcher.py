@@ -59,3 +59,22 @@ def test_prefix_strategy_equals_exact(spark, t):
 def test_nulls_among_values_lose_no_tokens(spark):
     df = spark.createDataFrame([("a", [None, "Red oak"], None), ("b", [None], ["elm", None])], "rid string, v array<string>, x array<string>")
     assert sorted(map(tuple, matcher.record_tokens(df, ["v", "x"]).collect())) == [("a", "oak"), ("a", "red"), ("b", "elm")]
+
+
+@pytest.mark.parametrize("t, heavy", [(1, 20_000), (40, 4), (300, 4), (100_000, 4)])
+def test_top_pairs_of_classes_equal_exact(spark, monkeypatch, t, heavy):
+    """Copies, ties and large blocks included: no rank, id or score changes."""
+    import random
+
+    from dnfblock.operators import top_pairs
+
+    monkeypatch.setattr(top_pairs, "HEAVY", heavy)
+    rng = random.Random(5)
+    words = [f"w{i}" for i in range(12)] + ["the"] * 8
+    texts = [" ".join(rng.choices(words, k=5)) for _ in range(25)]
+    make = lambda n: spark.createDataFrame([(f"{n}{i:03d}", [rng.choice(texts), rng.choice(["", "x y", f"only {n}{i}"])]) for i in range(60)], "rid string, v array<string>")
+    left, right = make("l"), make("r")
+    v = top_pairs.vectors(left, right, ["v"], ["v"])
+    rows = lambda df: [tuple(r) for r in df.orderBy("rank").collect()]
+    want = rows(matcher.top_duplicates(matcher.weights(left, right, ["v"], ["v"]), t))
+    assert rows(top_pairs.top_pairs(v, left, right, ["v"], ["v"], t)) == want
