@@ -363,8 +363,8 @@ COLUMNS = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string,
 def media_columns(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep_media: bool = False, step: int = 4 << 20) -> DataFrame:
     """``doc_id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, feature``.
 
-    ``keep_media`` adds the file as ``media``. ``feature`` has width, height and thumbnail hash of
-    the first frame and the number of frames. Files are made and read some ``step`` bytes at a time.
+    ``keep_media`` adds the file as ``media``. ``feature`` has width and height of the first
+    frame, the hash of the thumbnails of all frames, one below the other, and the number of frames. Files are made and read some ``step`` bytes at a time.
     """
     names = [c.split()[0] for c in COLUMNS.split(", ")] + ["media"] * keep_media
     kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
@@ -375,7 +375,7 @@ def media_columns(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
         files = encode([p for _, _, p in held])
         for (doc, n, _), data, frames in zip(held, files, thumbnails(files)):
             back = b"".join(t.tobytes() for _, t in frames)
-            first, thumb = frames[0]
+            first, thumb = frames[0][0], np.concatenate([t for _, t in frames])
             feature = f"{first.width}x{first.height}:{thumbnail_hash(thumb)}:{len(frames)}"
             row = (
                 doc, n, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]),

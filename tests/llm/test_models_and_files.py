@@ -365,3 +365,13 @@ def test_query_equals_sql(spark, duck, name):
     from compare import duck_rows, spark_rows
 
     assert spark_rows(queries.queries()[name](spark, "/root/testdata/sf0.001")) == duck_rows(duck, queries.oracle_sql()[name])
+
+
+def test_feature_sees_all_frames(spark):
+    """Texts that differ only past the first frame have different features."""
+    from dnfblock.llm import media
+
+    start = "ab" * (media.WIDTH * media.MOST_ROWS // 2)
+    docs = spark.createDataFrame([(1, start + "z" * 300_000), (2, start + "!" * 300_000)], "doc_id long, text string")
+    found = {r.doc_id: r.feature for r in media.media_columns(docs).collect()}
+    assert found[1] != found[2] and all(f.endswith(":2") for f in found.values())
