@@ -202,3 +202,22 @@ def test_gamma_sketches_merge(spark):
         assert blocking.candidates(left, right, s, salts=salts).exceptAll(blocking.candidates(left, right, s)).isEmpty()
         assert blocking.candidates(left, right, s, salts=salts).count() == exact
     assert {r.k for r in blocking.hot_keys(*(blocking.keyed(d, s, i).select(F.explode("keys").alias("k")) for i, d in enumerate((left, right)))).collect()}
+
+
+def test_count_differences(spark):
+    make = lambda rows: spark.createDataFrame(rows, "l_rid string, r_rid string")
+    a = make([("a", "x"), ("a", "y"), ("b", "x"), ("c", "x"), ("c", "x")])
+    b = make([("a", "y"), ("a", "x"), ("b", "y"), ("c", "x"), ("d", "x")])
+    assert blocking.count_differences(a, b).first()[0] == 4 and blocking.count_differences(a, a).first()[0] == 0
+    plan = blocking.count_differences(a, a)._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and "Except" not in plan
+
+
+def test_bruteforce_query_has_no_limit_of_pairs(spark, monkeypatch):
+    from dnfblock.queries.blocking import candidates_bruteforce_p1
+
+    def refused(*_):
+        raise ValueError("too many pairs")
+
+    monkeypatch.setattr(blocking, "covered_pairs_bruteforce", refused)
+    assert candidates_bruteforce_p1(spark, "/root/testdata/sf0.001").count() > 0
