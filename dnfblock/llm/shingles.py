@@ -2,7 +2,7 @@
 
 Texts meet in buckets of MinHash bands (``BANDS`` of ``ROWS``; a pair at similarity s misses all of them with
 probability (1 - s^ROWS)^BANDS, 7 in 100,000 at 0.8), and every drop rests on the Jaccard similarity of the
-whole sets. While buckets are large, a text with the smallest id in all of its buckets stays and is compared
+whole sets. In each of ``ROUNDS`` rounds, which are done whatever the input's size, a text with the smallest id in all of its buckets stays and is compared
 with those that share one, which is linear in a group of copies; the near ones go. Of what is left, pairs are
 written out only for buckets of at most ``FEW`` texts. Larger buckets are cut into blocks of some ``TILE_ROWS``,
 and pairs of blocks are compared whole inside a task, which gives a spanning forest of the near ones; one
@@ -27,7 +27,7 @@ WORDS = 5
 BANDS = 24
 ROWS = 5
 ROUNDS = 3
-PAIRS_A_ROW = 4
+PAIRS_A_ROW = 4  # has no effect any more: whether a round is done must not depend on the size of the input
 FEW = 6
 TILE_ROWS = 128
 COLUMNS = 1 << 14
@@ -132,9 +132,7 @@ def near_copies(docs: DataFrame) -> DataFrame:
     sets = materialize(_mapped(some, lambda h: np.unique(h).view(np.int64), "grams"), "shingles")
     gone = []
     for _ in range(ROUNDS):
-        sizes = members.groupBy("bucket").agg(F.count("*").alias("n"))
-        rows, pairs = sizes.agg(F.sum("n"), F.sum(F.expr("n * (n - 1) / 2"))).first()
-        if not rows or pairs <= PAIRS_A_ROW * rows:
+        if not members.limit(1).count():
             break
         lows = members.groupBy("bucket").agg(F.min("id").alias("low"))
         met = materialize(members.join(lows, "bucket"), "lows")

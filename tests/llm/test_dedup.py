@@ -256,3 +256,15 @@ def test_stage_leaves_no_near_copies(spark, monkeypatch, pairs, few, tile):
     linked = lambda a, b: near(texts[a], texts[b]) or (fps[a] ^ fps[b]).bit_count() <= 3
     assert all(any(linked(a, b) for b in range(len(texts)) if a != b) for a in range(len(texts)) if a not in kept)
     assert drop_near_copies(spark, out.limit(0), "").count() == 0
+
+
+def test_near_copies_do_not_depend_on_other_texts(spark):
+    """A chain of near texts loses the same ones alone and beside a large group of copies."""
+    words = [f"w{i}" for i in range(200)]
+    step = lambda ws, at: [f"x{i}" if i in at else w for i, w in enumerate(ws)]
+    b = step(words, (20, 60, 100, 140))
+    chain = [words, b, step(b, (40, 80, 120, 160))]
+    group = [step([f"g{i}" for i in range(200)], (k,)) for k in range(0, 200, 10)]
+    make = lambda texts: spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "id long, text string")
+    gone = lambda texts: {r.id for r in shingles.near_copies(make(texts)).collect() if r.id < 3}
+    assert gone(chain) == gone(chain + group) == {1}
