@@ -78,3 +78,29 @@ def test_top_pairs_of_classes_equal_exact(spark, monkeypatch, t, heavy):
     rows = lambda df: [tuple(r) for r in df.orderBy("rank").collect()]
     want = rows(matcher.top_duplicates(matcher.weights(left, right, ["v"], ["v"]), t))
     assert rows(top_pairs.top_pairs(v, left, right, ["v"], ["v"], t)) == want
+
+
+@pytest.mark.parametrize("t, frequent", [(15, 12)])
+def test_top_pairs_by_keys_equal_exact_and_leave_no_consumed_tables(spark, monkeypatch, t, frequent):
+    """Few left records first, most tokens known within bounds only; what a step has used up is deleted."""
+    import os
+    import random
+
+    from dnfblock.operators import top_pairs
+    from dnfblock.storage import shared_root
+
+    monkeypatch.setattr(top_pairs, "FREQUENT", frequent)
+    monkeypatch.setattr(top_pairs, "FIRST", 1)
+    monkeypatch.setattr(top_pairs, "MORE", 4)
+    rng = random.Random(7)
+    words = [f"w{i}" for i in range(150)] + ["the", "of"] * 20
+    right = [(f"r{i:03d}", [" ".join(rng.choices(words, k=6))]) for i in range(150)]
+    left = [(f"l{i:03d}", [right[rng.randrange(150)][1][0] + rng.choice([" the", " w3", " w4 w5", f" own{i}"])]) for i in range(100)]
+    left, right = (spark.createDataFrame(x, "rid string, v array<string>") for x in (left, right))
+    root = f"{shared_root(spark).removeprefix('file://')}/{spark.sparkContext.applicationId}"
+    before = set(os.listdir(root)) if os.path.isdir(root) else set()
+    rows = lambda df: [tuple(r) for r in df.orderBy("rank").collect()]
+    got = rows(top_pairs.top_pairs(top_pairs.vectors(left, right, ["v"], ["v"]), left, right, ["v"], ["v"], t))
+    assert got == rows(matcher.top_duplicates(matcher.weights(left, right, ["v"], ["v"]), t))
+    labels = {x.rsplit("-", 1)[0] for x in set(os.listdir(root)) - before if not x.startswith(".")}
+    assert not labels & {"first", "next", "blocks", "keys", "rids", "some", "rarest", "held"}
