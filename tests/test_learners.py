@@ -155,3 +155,31 @@ def test_coverage_of_several_runs_is_that_of_each(spark):
         own = spark.createDataFrame(rows, kind)
         one = search_space.collect_coverage(own, own, left, left, elements)
         assert (cov.dups == one.dups).all() and (cov.nondups == one.nondups).all() and cov.evaluations == one.evaluations
+
+
+def test_learners_share_one_pass_and_leave_no_shuffle_files(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    from dnfblock.plans import experiments
+
+    def files():
+        kept = spark.sparkContext._jsc.sc().env().blockManager().diskBlockManager().getAllFiles().mkString(" ")
+        return kept.count("/shuffle_")
+
+    passes, one_pass = [], search_space.coverage
+    monkeypatch.setattr(search_space, "coverage", lambda *a: passes.append(1) or one_pass(*a))
+    bench, before = experiments.Bench(spark, "/root/testdata/sf0.001", "p1"), files()
+    with experiments.files_of_shuffles_removed(spark):
+        rows = experiments._compare(bench, 2, 1, False)
+    assert len(passes) == 1 and len(rows) == 6
+    assert files() <= before
+    for kind in experiments.LEARNERS:
+        dups, nondups = bench.training(kind, None, 2)
+        alone = search_space.collect_coverage(dups, nondups, bench.left, bench.right, search_space.atoms(mappings=bench.q))
+        for got, wanted in zip(bench.coverages(kind, runs=2), search_space.split_runs(alone, 2, experiments.STEP)):
+            assert (got.dups == wanted.dups).all() and (got.nondups == wanted.nondups).all() and got.evaluations == wanted.evaluations
+    seeds = ["0", "1"]
+    both = training.labelled_negatives_of_runs(bench.left, bench.right, bench.truth, 5, seeds)
+    for run, seed in enumerate(seeds):
+        one = training.labelled_negatives(bench.left, bench.right, bench.truth, 5, seed).collect()
+        assert one and sorted(both.where(F.col("run") == run).drop("run").collect()) == sorted(one)
