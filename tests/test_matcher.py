@@ -104,3 +104,39 @@ def test_top_pairs_by_keys_equal_exact_and_leave_no_consumed_tables(spark, monke
     assert got == rows(matcher.top_duplicates(matcher.weights(left, right, ["v"], ["v"]), t))
     labels = {x.rsplit("-", 1)[0] for x in set(os.listdir(root)) - before if not x.startswith(".")}
     assert not labels & {"first", "next", "blocks", "keys", "rids", "some", "rarest", "held"}
+
+
+@pytest.mark.parametrize("known, marks", [(3_000_000, 1 << 28), (30, 1 << 12)])
+def test_top_pairs_leave_out_records_and_keys_before_any_shuffle(spark, monkeypatch, known, marks):
+    """Bounds below 1, some or all tokens known, crowded bits: same rows, and most records and keys are gone before they are written."""
+    import random
+
+    from dnfblock.operators import top_pairs
+
+    monkeypatch.setattr(top_pairs, "KNOWN", known)
+    monkeypatch.setattr(top_pairs, "MARKS", marks)
+    monkeypatch.setattr(top_pairs, "FIRST", 1)
+    rng = random.Random(11)
+    # a right record has a token of its own; only left records with few numbers can be near
+    right = [(f"r{i:03d}", [f"total{i % 90} c{rng.randrange(4)} d{rng.randrange(9)} label{i}"]) for i in range(240)]
+    left = [(f"l{i:03d}", [f"total{rng.randrange(90)} c{rng.randrange(4)} d{rng.randrange(9)} " + (f"no{i}" if i % 20 else "d1")]) for i in range(300)]
+    left, right = (spark.createDataFrame(x, "rid string, v array<string>") for x in (left, right))
+    seen = {}
+    real = top_pairs._met
+    monkeypatch.setattr(top_pairs, "_met", lambda fs, bags, bounds, few: (seen.update(left=bags[0].count(), bounds=bounds), real(fs, bags, bounds, few))[1])
+    rows = lambda df: [tuple(r) for r in df.orderBy("rank").collect()]
+    made = [top_pairs.with_bags(df, ["v"]) for df in (left, right)]
+    got = rows(top_pairs.top_pairs(top_pairs.vectors(*made, ["v"], ["v"]), *made, ["v"], ["v"], 9))
+    assert got == rows(matcher.top_duplicates(matcher.weights(left, right, ["v"], ["v"]), 9))
+    if known > 1000:
+        assert seen["left"] <= 15 and seen["bounds"][0] > got[-1][3]
+
+
+def test_marks_keep_every_key(spark):
+    from dnfblock.operators import top_pairs
+
+    keys = [0, 1, -1, 2**62 + 5, -(2**63), 123456789012345]
+    bits = top_pairs._marks(spark.createDataFrame([(k,) for k in keys], "key long")).value
+    at = [k & (top_pairs.MARKS - 1) for k in keys]
+    assert all(bits[i >> 3] >> (i & 7) & 1 for i in at)
+    assert sum(bin(b).count("1") for b in bits if b) == len(set(at))
