@@ -114,6 +114,16 @@ def test_candidate_plan_has_no_loop_and_no_python(spark, people):
     assert not any(x in plan for x in ("CartesianProduct", "NestedLoop", "Python", "Arrow"))
 
 
+def test_candidate_plan_broadcasts_no_keys(spark, people, tmp_path):
+    """At the session's own limit for broadcasts, which the files of a table can be below while their exploded keys fill the driver."""
+    people.write.parquet(f"{tmp_path}/people")
+    kept = spark.read.parquet(f"{tmp_path}/people")
+    s = Scheme.of(Atom.simple("token", "last"), Atom.simple("soundex", "first"))
+    for salts in (1, 8):
+        plan = blocking.candidates(kept, kept, s, salts=salts)._jdf.queryExecution().executedPlan().toString()
+        assert "Broadcast" not in plan and "SortMergeJoin" in plan
+
+
 def test_measures(spark, people):
     truth = spark.createDataFrame([("a", "d"), ("b", "e")], "l_rid string, r_rid string")
     gamma = spark.createDataFrame([("a", "d"), ("a", "b"), ("b", "c")], "l_rid string, r_rid string")
