@@ -183,3 +183,46 @@ def test_learners_share_one_pass_and_leave_no_shuffle_files(spark, monkeypatch):
     for run, seed in enumerate(seeds):
         one = training.labelled_negatives(bench.left, bench.right, bench.truth, 5, seed).collect()
         assert one and sorted(both.where(F.col("run") == run).drop("run").collect()) == sorted(one)
+
+
+def test_functions_stand_once_a_side_in_the_plan_and_cover_as_before(spark):
+    """Whatever the number of mappings; pairs that share their values are covered together, and what comes back is the same."""
+    from pyspark.sql import functions as F
+
+    from dnfblock.operators.blocking import with_records
+
+    kind = "rid string, a array<string>, b array<string>"
+    left = spark.createDataFrame([("l1", ["Ana Li"], ["12"]), ("l2", ["Ana Li"], []), ("l3", None, ["7", "12"]), ("l4", [None], ["x"])], kind)
+    right = spark.createDataFrame([("r1", ["li ana"], ["12"]), ("r2", ["Anna"], None), ("r3", ["li ana"], ["12"])], kind)
+    pairs = spark.createDataFrame([(i, f"l{1 + i % 4}", f"r{1 + i % 3}", i % 2) for i in range(12)], "tp_id long, l_rid string, r_rid string, label int")
+    gbps = ("token", "exact", "int_pm1", "metaphone")
+    mappings = ((("a",), ("a",)), (("b",), ("b",)), (("a", "b"), ("b",)), (("b",), ("a", "b")))
+    elements = search_space.atoms(gbps, mappings)[1:]
+    rows = with_records(pairs, left, right)
+    wanted = set()
+    for i, e in enumerate(elements):
+        hit = e.covers(lambda f: F.col(f"l_{f}"), lambda f: F.col(f"r_{f}"))
+        wanted |= {(i, r.tp_id, r.label) for r in rows.where(hit).select("tp_id", "label").collect()}
+    found = search_space.coverage(pairs, left, right, elements)
+    assert sorted(map(tuple, found.collect())) == sorted(wanted)
+    cov = search_space.collect_coverage(pairs.where("label = 1"), pairs.where("label = 0"), left, right, elements)
+    got = {(i, int(cov.stats[k][j]), n) for n, k, m in ((1, "dup_ids", cov.dups), (0, "nondup_ids", cov.nondups)) for i, j in zip(*m.nonzero())}
+    assert got == wanted
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    line = next(x for x in plan.splitlines() if "ArrowEvalPython" in x)
+    assert line.count("coded(") == 2
+
+
+def test_runs_are_drawn_in_one_pass(spark):
+    """The same pairs as seed by seed, also where so few rows stay that nothing can be held back."""
+    truth = spark.createDataFrame([(f"l{i}", f"r{i}") for i in range(300)], "l_rid string, r_rid string")
+    seeds = ["0", "1", "2"]
+    for many in (300, 10**9):
+        found = training.labelled_duplicates_of_runs(truth, 7, seeds, many).collect()
+        for run, s in enumerate(seeds):
+            assert sorted(tuple(r)[1:] for r in found if r.run == run) == sorted(map(tuple, training.labelled_duplicates(truth, 7, s).collect()))
+    assert len(training.labelled_duplicates_of_runs(truth, 1000, seeds, 300).collect()) == 900
+    dups = training.labelled_duplicates(truth, 20).union(truth.limit(1).selectExpr("cast(21 as long)", "l_rid", "r_rid"))
+    both = training.permute_negatives_of_runs(dups, seeds).collect()
+    for run, s in enumerate(seeds):
+        assert sorted(tuple(r)[1:] for r in both if r.run == run) == sorted(map(tuple, training.permute_negatives(dups, s).collect()))
